@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from codeprov.llm import bpe, decontaminate, langid, pii, simhash
+from codeprov.llm import bpe, decontaminate, langid, lcp, lm, pii, simhash
 from codeprov.llm.common import table
 
 
@@ -22,15 +22,23 @@ def op4_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op6_lcp_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lcp.compare_with_edits(table(spark, sf_dir, "documents"))
+
+
 def op7_pii_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.digest(pii.detect(table(spark, sf_dir, "documents")))
 
 
+def op8_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm.score(table(spark, sf_dir, "documents"))
+
+
 def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.digest(decontaminate.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op2_byte_bpe, op3_language_id, op4_simhash_dedup, op7_pii_spans, op10_decontaminate)
+    f.__name__: f for f in (op2_byte_bpe, op3_language_id, op4_simhash_dedup, op6_lcp_fingerprint, op7_pii_spans, op8_lm_score, op10_decontaminate)
 }
 SQL: dict[str, str] = {}
