@@ -24,7 +24,7 @@ from codeprov.llm.common import slices
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 #: Pre-tokens kept by each worker; the table is emptied when full.
-KEPT = 400_000
+KEPT = 1_500_000
 #: Longer pre-tokens are never kept.
 KEPT_LENGTH = 64
 
@@ -72,6 +72,21 @@ class PerfectHash:
         return i if self.keys[i] == key else -1
 
 
+class _Kept(dict):
+    """Results by string, worked out once; emptied when full."""
+
+    def __init__(self, work) -> None:
+        self.work = work
+
+    def __missing__(self, key: str) -> bytes:
+        out = self.work(key)
+        if len(key) <= KEPT_LENGTH:
+            if len(self) >= KEPT:
+                self.clear()
+            self[key] = out
+        return out
+
+
 def read_ranks(spark, path: str) -> list[tuple[bytes, int]]:
     """Rows of a rank file; read by Spark, so that it may lie in any store."""
     lines = spark.read.text(path if "://" in path else f"file://{path}").collect()
@@ -83,57 +98,44 @@ class Codec:
 
     def __init__(self, ranks: list[tuple[bytes, int]], pattern: str) -> None:
         self.cut = regex.compile(pattern).findall
-        self.rank_of = dict(ranks)
         self.bytes_of = {r: b for b, r in ranks}
         keys = [b for b, _ in ranks]
         self.hash = PerfectHash(keys)
         self.numbers = [r for _, r in ranks]
-        codec = self
-
-        class Known(dict):
-            def __missing__(self, piece: str) -> bytes:
-                raw = piece.encode("utf-8", "surrogatepass")
-                i = codec.hash.find(raw)
-                ids = [codec.numbers[i]] if i >= 0 else codec.merge(raw)
-                out = np.array(ids, dtype="<u4").tobytes()
-                if len(piece) <= KEPT_LENGTH:
-                    if len(self) >= KEPT:
-                        self.clear()
-                    self[piece] = out
-                return out
-
-        self.known = Known()
+        rank_of = dict(ranks)
+        self.byte_ids = [rank_of[bytes([i])] for i in range(256)]
+        #: Rank of the token that two adjacent tokens make, by both ids in one integer.
+        self.pairs = {rank_of[b[:i]] << 32 | rank_of[b[i:]]: r for b, r in ranks for i in range(1, len(b)) if b[:i] in rank_of and b[i:] in rank_of}
+        self.known = _Kept(self._piece)
+
+    def _piece(self, piece: str) -> bytes:
+        raw = piece.encode("utf-8", "surrogatepass")
+        i = self.hash.find(raw)
+        return np.array([self.numbers[i]] if i >= 0 else self.merge(raw), dtype="<u4").tobytes()
 
     def merge(self, raw: bytes) -> list[int]:
-        """Ids of a pre-token: pairs leave a heap by (rank, place); a pair that has changed since is passed over."""
-        n, rank = len(raw), self.rank_of
-        piece = [raw[i : i + 1] for i in range(n)]
+        """Ids of a pre-token: pairs leave a heap by (rank, place); one that is no longer there is passed over."""
+        ids = [self.byte_ids[b] for b in raw]
+        n, get, push = len(ids), self.pairs.get, heapq.heappush
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        heap = []
-        for i in range(n - 1):
-            r = rank.get(raw[i : i + 2])
-            if r is not None:
-                heap.append((r, i, 1, 1))
+        heap = [r << 40 | i for i in range(n - 1) if (r := get(ids[i] << 32 | ids[i + 1])) is not None]
         heapq.heapify(heap)
         while heap:
-            r, i, left, right = heapq.heappop(heap)
-            j = after[i] if piece[i] is not None else n
-            if j >= n or len(piece[i]) != left or len(piece[j]) != right:
+            x = heapq.heappop(heap)
+            r, i = x >> 40, x & 0xFFFFFFFFFF
+            j = after[i]
+            if ids[i] < 0 or j >= n or get(ids[i] << 32 | ids[j]) != r:
                 continue
-            joined = piece[i] = piece[i] + piece[j]
-            piece[j] = None
+            ids[i], ids[j] = r, -1
             k = after[i] = after[j]
             if k < n:
                 before[k] = i
-                s = rank.get(joined + piece[k])
-                if s is not None:
-                    heapq.heappush(heap, (s, i, len(joined), len(piece[k])))
+                if (s := get(r << 32 | ids[k])) is not None:
+                    push(heap, s << 40 | i)
             h = before[i]
-            if h >= 0:
-                s = rank.get(piece[h] + joined)
-                if s is not None:
-                    heapq.heappush(heap, (s, h, len(piece[h]), len(joined)))
-        return [rank[p] for p in piece if p is not None]
+            if h >= 0 and (s := get(ids[h] << 32 | r)) is not None:
+                push(heap, s << 40 | h)
+        return [t for t in ids if t >= 0]
 
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
