@@ -2,4 +2,6 @@
 
 from __future__ import annotations
 
-SQL: dict[str, str] = {}
+from codeprov.queries import MODULES
+
+SQL: dict[str, str] = {k: s for m in MODULES for k, s in m.SQL.items()}

@@ -6,5 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from codeprov.workloads import clones
+
 FLAGSHIP = "W01_clone_search"
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+MODULES = (clones,)
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {k: q for m in MODULES for k, q in m.QUERIES.items()}
