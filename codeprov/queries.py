@@ -6,8 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from codeprov.workloads import clones
+from codeprov.workloads import basics, clones, study
 
 FLAGSHIP = "W01_clone_search"
-MODULES = (clones,)
+MODULES = (clones, study, basics)
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {k: q for m in MODULES for k, q in m.QUERIES.items()}
