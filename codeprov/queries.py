@@ -6,8 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from codeprov.workloads import basics, clones, source, study
+from codeprov.workloads import basics, clones, source, streams, study
 
 FLAGSHIP = "W01_clone_search"
-MODULES = (clones, study, source, basics)
+MODULES = (clones, study, source, streams, basics)
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {k: q for m in MODULES for k, q in m.QUERIES.items()}
