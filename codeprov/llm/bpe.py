@@ -11,6 +11,8 @@ from __future__ import annotations
 import base64
 import hashlib
 import heapq
+import sys
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -111,7 +113,10 @@ class Codec:
     def _piece(self, piece: str) -> bytes:
         raw = piece.encode("utf-8", "surrogatepass")
         i = self.hash.find(raw)
-        return np.array([self.numbers[i]] if i >= 0 else self.merge(raw), dtype="<u4").tobytes()
+        out = array("I", (self.numbers[i],) if i >= 0 else self.merge(raw))
+        if sys.byteorder != "little":
+            out.byteswap()
+        return out.tobytes()
 
     def merge(self, raw: bytes) -> list[int]:
         """Ids of a pre-token: pairs leave a heap by (rank, place); one that is no longer there is passed over."""

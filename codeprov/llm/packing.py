@@ -100,7 +100,7 @@ def pieces(docs: DataFrame, length: int = LENGTH, path: str | None = None, patte
     return out.withColumn("width", F.lit(size))
 
 
-_SEQUENCE = "shard int, sequence int, n_tokens int, input_ids array<int>, cu_seqlens array<int>, position_ids array<int>, doc_ids array<long>, starts array<long>"
+_SEQUENCE = "shard int, sequence int, n_tokens int, input_ids binary, cu_seqlens array<int>, position_ids binary, doc_ids array<long>, starts array<long>"
 
 
 def _lists(rows: list[np.ndarray], kind) -> pa.ListArray:
@@ -108,9 +108,15 @@ def _lists(rows: list[np.ndarray], kind) -> pa.ListArray:
     return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(rows) if rows else np.zeros(0, kind)).cast(pa.from_numpy_dtype(kind)))
 
 
+def row_of(binary: bytes) -> np.ndarray:
+    """A row of ids or positions as integers."""
+    return np.frombuffer(binary, "<i4")
+
+
 def pack(docs: DataFrame, length: int = LENGTH, pad_id: int = 0, shard_bytes: int = SHARD_BYTES, path: str | None = None, pattern: str | None = None) -> DataFrame:
     """One row for each packed sequence: ``length`` input_ids (padded with ``pad_id``), cu_seqlens (0 to
     n_tokens), position_ids (from 0 in each piece; in the padding too), and the pieces' doc_ids and starts.
+    Ids and positions are matrix rows: little-endian 32-bit integers in a binary (``row_of`` reads one).
 
     Null and empty texts have no token and so no piece. Repeated rows are packed each. The result depends
     on the rows alone, not on how they are spread. An empty table gives an empty result.
@@ -124,20 +130,20 @@ def pack(docs: DataFrame, length: int = LENGTH, pad_id: int = 0, shard_bytes: in
         tokens = [np.frombuffer(x, kind) for x in order.column("tokens").to_pylist()]
         doc, start = order.column("doc_id"), np.array(order.column("start").to_pylist(), dtype=np.int64)
         bins = best_fit_decreasing([len(t) for t in tokens], length)
-        ids, cu, places = [], [], []
+        ids, cu, places, count = [], [], [], np.arange(length, dtype="<i4")
         for b in bins:
-            row = np.full(length, pad_id, dtype=np.int32)
-            place = np.empty(length, dtype=np.int32)
+            row = np.full(length, pad_id, dtype="<i4")
+            place = np.empty(length, dtype="<i4")
             at, ends = 0, [0]
             for i in b:
                 n = len(tokens[i])
                 row[at : at + n] = tokens[i]
-                place[at : at + n] = np.arange(n)
+                place[at : at + n] = count[:n]
                 at += n
                 ends.append(at)
-            place[at:] = np.arange(length - at)
-            ids.append(row)
-            places.append(place)
+            place[at:] = count[: length - at]
+            ids.append(row.tobytes())
+            places.append(place.tobytes())
             cu.append(np.array(ends, dtype=np.int32))
         flat = pa.array([i for b in bins for i in b], pa.int64())
         offsets = pa.array(np.cumsum([0, *(len(b) for b in bins)], dtype=np.int32))
@@ -145,7 +151,7 @@ def pack(docs: DataFrame, length: int = LENGTH, pad_id: int = 0, shard_bytes: in
         docs_of = pa.ListArray.from_arrays(offsets, doc.combine_chunks().take(flat))
         starts_of = pa.ListArray.from_arrays(offsets, pa.array(start).take(flat))
         return pa.Table.from_arrays(
-            [pa.array([key[0].as_py()] * n, pa.int32()), pa.array(range(n), pa.int32()), pa.array([int(c[-1]) for c in cu], pa.int32()), _lists(ids, np.int32), _lists(cu, np.int32), _lists(places, np.int32), docs_of, starts_of],
+            [pa.array([key[0].as_py()] * n, pa.int32()), pa.array(range(n), pa.int32()), pa.array([int(c[-1]) for c in cu], pa.int32()), pa.array(ids, pa.binary()), _lists(cu, np.int32), pa.array(places, pa.binary()), docs_of, starts_of],
             names=["shard", "sequence", "n_tokens", "input_ids", "cu_seqlens", "position_ids", "doc_ids", "starts"],
         )
 
@@ -162,17 +168,28 @@ def matrices(packed: DataFrame) -> DataFrame:
     def work(key, group):
         order = group.sort_by("sequence")
         flat = lambda c: np.asarray(order.column(c).combine_chunks().flatten(), dtype="<i4").tobytes()
+        joined = lambda c: b"".join(order.column(c).to_pylist())
         sizes = [len(x) for x in order.column("cu_seqlens").to_pylist()]
-        length = len(order.column("input_ids")[0])
+        length = len(order.column("input_ids")[0].as_py()) // 4
         offsets = np.cumsum([0, *sizes], dtype="<i4").tobytes()
-        return pa.table({"shard": pa.array([key[0].as_py()], pa.int32()), "n_sequences": pa.array([order.num_rows], pa.int32()), "length": pa.array([length], pa.int32()), "ids": [flat("input_ids")], "positions": [flat("position_ids")], "cu_seqlens": [flat("cu_seqlens")], "cu_offsets": [offsets]})
+        return pa.table({"shard": pa.array([key[0].as_py()], pa.int32()), "n_sequences": pa.array([order.num_rows], pa.int32()), "length": pa.array([length], pa.int32()), "ids": [joined("input_ids")], "positions": [joined("position_ids")], "cu_seqlens": [flat("cu_seqlens")], "cu_offsets": [offsets]})
 
     return packed.groupBy("shard").applyInArrow(work, "shard int, n_sequences int, length int, ids binary, positions binary, cu_seqlens binary, cu_offsets binary")
 
 
 def unpack(packed: DataFrame) -> DataFrame:
     """doc_id and all its token ids again, from packed sequences (for ids that stand in one row of the input)."""
-    n = F.size("doc_ids")
-    part = F.transform(F.sequence(F.lit(0), n - 1), lambda i: F.struct(F.element_at("doc_ids", i + 1).alias("doc_id"), F.element_at("starts", i + 1).alias("start"), F.slice("input_ids", F.element_at("cu_seqlens", i + 1) + 1, F.element_at("cu_seqlens", i + 2) - F.element_at("cu_seqlens", i + 1)).alias("ids")))
-    rows = packed.select(F.inline(part))
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            doc, start, ids = [], [], []
+            for binary, cu, docs, starts in zip(*(b.column(c).to_pylist() for c in ("input_ids", "cu_seqlens", "doc_ids", "starts")), strict=True):
+                row = row_of(binary)
+                for d, s, x, y in zip(docs, starts, cu, cu[1:], strict=False):
+                    doc.append(d)
+                    start.append(s)
+                    ids.append(row[x:y])
+            yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(start, pa.int64()), _lists(ids, np.int32)], names=["doc_id", "start", "ids"])
+
+    rows = packed.mapInArrow(work, "doc_id long, start long, ids array<int>")
     return rows.groupBy("doc_id").agg(F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("start", "ids"))), lambda x: x["ids"])).alias("ids"))
