@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
+from pyspark.sql.types import DoubleType, LongType, StringType, StructType
 
 from codeprov.functions.pvalue import p_value
 from codeprov.functions.text import levenshtein, order_free
@@ -15,17 +16,17 @@ from codeprov.functions.text import levenshtein, order_free
 _WORD = re.compile(r"[^\W_]+")
 
 
-@F.udf("bigint", useArrow=True)
+@F.udf(LongType(), useArrow=True)
 def edit_distance(a, b):
     return None if a is None or b is None else levenshtein(a, b)
 
 
-@F.udf("double", useArrow=True)
+@F.udf(DoubleType(), useArrow=True)
 def order_free_score(q, t):
     return None if not q or t is None else order_free(q, t)
 
 
-@F.udf("double", useArrow=True)
+@F.udf(DoubleType(), useArrow=True)
 def part_delta(a, b):
     if a is None or b is None:
         return None
@@ -33,22 +34,22 @@ def part_delta(a, b):
     return 100.0 * (1 - levenshtein(a, b) / longer) if longer else 100.0
 
 
-@F.udf("double", useArrow=True)
+@F.udf(DoubleType(), useArrow=True)
 def gram_containment(q, t):
     return None if not q or t is None else len(set(q) & set(t)) / len(set(q))
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def correlation(x: pd.Series, y: pd.Series) -> float:
     return float(x.corr(y))
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def t_pvalue(rho: pd.Series, n: pd.Series) -> pd.Series:
     return pd.Series([p_value(r, int(k)) if pd.notna(r) and pd.notna(k) else None for r, k in zip(rho, n, strict=True)])
 
 
-@F.udtf(returnType="pos bigint, token string")
+@F.udtf(returnType=StructType().add("pos", LongType()).add("token", StringType()))
 class TokenStream:
     """Runs of letters and digits of a text, lower-cased, with their places."""
 
