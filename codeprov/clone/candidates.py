@@ -1,6 +1,7 @@
 """Candidate retrieval: targets that share at least a part eta of a query's N-grams.
 
-Two strategies with equal answers. ``plain`` joins all postings. ``prefix`` probes only the rarest grams
+Two strategies with equal answers; ``auto`` takes ``plain`` for queries that can be broadcast and ``prefix``
+for the others. ``plain`` joins all postings. ``prefix`` probes only the rarest grams
 of each query: with G grams of which ceil(eta G) must be shared, any G - ceil(eta G) + 1 of them hit every
 answer, so the postings of frequent grams are never joined; the exact count is then taken on survivors.
 ``minhash`` is an opt-in approximation (recall is reported against the exact ones).
@@ -40,7 +41,7 @@ def needed(eta: float, rounding: str = "exact") -> str:
     return f"{'ceil' if rounding == 'up' else 'floor'}({eta} * n_grams)"
 
 
-def retrieve(queries: DataFrame, targets: DataFrame, n: int = 3, eta: float = 0.5, strategy: str = "prefix", rounding: str = "exact", self_join: bool = False, most_broadcast: int = MOST_BROADCAST, bands: int = 16, rows: int = 2) -> DataFrame:
+def retrieve(queries: DataFrame, targets: DataFrame, n: int = 3, eta: float = 0.5, strategy: str = "auto", rounding: str = "exact", self_join: bool = False, most_broadcast: int = MOST_BROADCAST, bands: int = 16, rows: int = 2) -> DataFrame:
     """``query_id, target_id, shared, n_grams, containment`` from two fingerprint tables (``id, subs``).
 
     ``self_join`` leaves out pairs of one id. The query side is broadcast only after its size was counted.
@@ -48,13 +49,16 @@ def retrieve(queries: DataFrame, targets: DataFrame, n: int = 3, eta: float = 0.
     q, t = gram_table(queries, n), gram_table(targets, n)
     if strategy == "minhash":
         return _minhash(q, t, eta, bands, rows, self_join)
+    small = (q.agg(F.sum("n_grams")).first()[0] or 0) <= most_broadcast
+    if strategy == "auto":
+        strategy = "plain" if small and not self_join else "prefix"
     if strategy == "prefix":
         probes = _prefix(q, t, eta)
     elif strategy == "plain":
         probes = q.select(F.explode("grams").alias("gram"), F.col("id").alias("query_id"), "n_grams")
     else:
-        raise ValueError("strategy must be plain, prefix or minhash")
-    probes = F.broadcast(probes) if (q.agg(F.sum("n_grams")).first()[0] or 0) <= most_broadcast else probes
+        raise ValueError("strategy must be auto, plain, prefix or minhash")
+    probes = F.broadcast(probes) if small else probes
     joined = index(t).withColumnRenamed("id", "target_id").join(probes, "gram")
     if self_join:
         joined = joined.where("query_id <> target_id")

@@ -25,7 +25,7 @@ DEFAULT = Setting()
 CONSERVATIVE = Setting(3, 0.5, 0.9)
 
 
-def scored(queries: DataFrame, targets: DataFrame, n: int = 3, eta: float = 0.5, strategy: str = "prefix", direction: str = "forward", self_join: bool = False) -> DataFrame:
+def scored(queries: DataFrame, targets: DataFrame, n: int = 3, eta: float = 0.5, strategy: str = "auto", direction: str = "forward", self_join: bool = False) -> DataFrame:
     """Candidates with their score; both sides are fingerprint tables ``id, subs``."""
     pairs = retrieve(queries, targets, n, eta, strategy, self_join=self_join)
     q = queries.select(F.col("id").alias("query_id"), F.col("subs").alias("q"))
@@ -34,12 +34,12 @@ def scored(queries: DataFrame, targets: DataFrame, n: int = 3, eta: float = 0.5,
     return out.select("query_id", "target_id", "shared", "n_grams", "containment", order_free("q", "t", direction).alias("score"))
 
 
-def find_clones(queries: DataFrame, targets: DataFrame, setting: Setting = DEFAULT, strategy: str = "prefix", direction: str = "forward") -> DataFrame:
+def find_clones(queries: DataFrame, targets: DataFrame, setting: Setting = DEFAULT, strategy: str = "auto", direction: str = "forward") -> DataFrame:
     """Pairs whose score reaches the setting's threshold."""
     return scored(queries, targets, setting.n, setting.eta, strategy, direction).where(F.col("score") >= 100 * setting.eps)
 
 
-def self_clones(prints: DataFrame, setting: Setting = DEFAULT, strategy: str = "prefix") -> DataFrame:
+def self_clones(prints: DataFrame, setting: Setting = DEFAULT, strategy: str = "auto") -> DataFrame:
     """All against all within one table, a row never against itself."""
     return scored(prints, prints, setting.n, setting.eta, strategy, self_join=True).where(F.col("score") >= 100 * setting.eps)
 

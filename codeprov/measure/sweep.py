@@ -11,7 +11,7 @@ from codeprov.clone.match import scored
 from codeprov.measure.confusion import rates
 
 
-def sweep(queries: DataFrame, targets: DataFrame, truth: DataFrame, ns: list[int], etas: list[float], epss: list[float], strategy: str = "prefix") -> DataFrame:
+def sweep(queries: DataFrame, targets: DataFrame, truth: DataFrame, ns: list[int], etas: list[float], epss: list[float], strategy: str = "auto") -> DataFrame:
     """``n, eta, eps, tp, fp, fn, prec, rec, f1``; ``truth`` has query_id, target_id."""
     spark = queries.sparkSession
     every = [scored(queries, targets, n, min(etas), strategy).select(F.lit(n).alias("n"), "query_id", "target_id", "shared", "n_grams", "score") for n in ns]

@@ -13,15 +13,16 @@ from codeprov.clone.fuzzyhash import ALPHABET
 from codeprov.clone.normalise import strip_layout
 from codeprov.clone.score import delta, order_free
 from codeprov.measure import confusion, cost, sweep
-from codeprov.session import table
+from codeprov.session import cut_lineage, table
 
 
 def _items(spark, sf):
-    return fingerprint.build(table(spark, sf, "benchmark"), "item_id")
+    return cut_lineage(fingerprint.build(table(spark, sf, "benchmark"), "item_id"))
 
 
 def _documents(spark, sf):
-    return fingerprint.build(table(spark, sf, "documents"), "doc_id")
+    """Fingerprints of all documents, written once: candidates, counts and scores read them again."""
+    return cut_lineage(fingerprint.build(table(spark, sf, "documents"), "doc_id"))
 
 
 def _named(pairs: DataFrame, *columns: str) -> DataFrame:
@@ -42,7 +43,8 @@ def w03(spark, sf):
 
 
 def w04(spark, sf):
-    both = _items(spark, sf).withColumn("kind", F.lit("item")).unionByName(_documents(spark, sf).withColumn("kind", F.lit("document")))
+    items, docs = fingerprint.build(table(spark, sf, "benchmark"), "item_id"), fingerprint.build(table(spark, sf, "documents"), "doc_id")
+    both = items.withColumn("kind", F.lit("item")).unionByName(docs.withColumn("kind", F.lit("document")))
     return both.select("kind", "id", "fp", F.col("n_subs").cast("long").alias("n_parts"), F.col("len").cast("long").alias("fp_len"))
 
 

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from codeprov.clone import fingerprint, match
+from codeprov.clone import match
 from codeprov.session import table
 from codeprov.streaming import replay, state, watch, windows
 from codeprov.workloads import clones
@@ -15,7 +15,7 @@ def _micros(df, column):
 
 
 def w33(spark, sf):
-    found = match.find_clones(fingerprint.build(table(spark, sf, "benchmark"), "item_id"), fingerprint.build(table(spark, sf, "documents"), "doc_id"))
+    found = match.find_clones(clones._items(spark, sf), clones._documents(spark, sf))
     where = replay.place(spark, "index")
     found.select(F.col("target_id").alias("unit_id")).distinct().write.parquet(where)
     return _micros(replay.run(watch.alerts(replay.events(spark, sf), spark.read.parquet(where)), "complete"), "window_start")

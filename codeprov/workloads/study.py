@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from codeprov.clone import fingerprint, match
+from codeprov.clone import match
 from codeprov.graph import closure, pattern, validate
 from codeprov.measure import describe, funnel, spearman
 from codeprov.session import cut_lineage, table
@@ -61,7 +61,7 @@ def w16(spark, sf):
 
 
 def _matches(spark, sf) -> DataFrame:
-    found = match.find_clones(fingerprint.build(table(spark, sf, "benchmark"), "item_id"), fingerprint.build(table(spark, sf, "documents"), "doc_id"))
+    found = match.find_clones(clones._items(spark, sf), clones._documents(spark, sf))
     when = table(spark, sf, "events").select("event_id", "ts")
     posted = when.where("event_id % 25 = 0").select((F.col("event_id") / 25).cast("long").alias("snippet_id"), F.col("ts").alias("posted_at"))
     deployed = when.select(F.col("event_id").alias("unit_id"), F.col("ts").alias("deployed_at"))

@@ -22,7 +22,7 @@ from codeprov.workloads import clones
 
 
 def _prints(spark, sf, name, id):
-    return fingerprint.build(table(spark, sf, name), id)
+    return cut_lineage(fingerprint.build(table(spark, sf, name), id))
 
 
 def hash_variants(spark, sf):
