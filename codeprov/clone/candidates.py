@@ -25,8 +25,8 @@ def gram_table(prints: DataFrame, n: int = 3) -> DataFrame:
 
 
 def index(table: DataFrame) -> DataFrame:
-    """Postings ``gram, id``."""
-    return table.select(F.explode("grams").alias("gram"), "id")
+    """Postings ``gram, id, size`` (grams of the fingerprint)."""
+    return table.select(F.explode("grams").alias("gram"), "id", F.col("n_grams").alias("size"))
 
 
 def stats(table: DataFrame) -> DataFrame:
@@ -59,7 +59,9 @@ def retrieve(queries: DataFrame, targets: DataFrame, n: int = 3, eta: float = 0.
     else:
         raise ValueError("strategy must be auto, plain, prefix or minhash")
     probes = F.broadcast(probes) if small else probes
-    joined = index(t).withColumnRenamed("id", "target_id").join(probes, "gram")
+    # A target with fewer grams than must be shared cannot answer; the join itself leaves it out.
+    postings = index(t).withColumnsRenamed({"id": "target_id", "gram": "posted"})
+    joined = postings.join(probes, (F.col("posted") == F.col("gram")) & F.expr(f"size >= {needed(eta, rounding)}"))
     if self_join:
         joined = joined.where("query_id <> target_id")
     if strategy == "plain":
