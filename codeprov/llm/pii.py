@@ -3,26 +3,36 @@
 The patterns give the base spans. Around digits and at signs (zones), every plausible segment is a
 candidate for each kind; features of the whole span (digit groups, checksum, separators, neighbours)
 score it, and bounded-entity dynamic programming chooses boundaries and kinds together. Weights come
-from the conditional likelihood of base spans in a bounded sample of zones (forward-backward over
-segments). Segments that the model chooses beside the base spans are added to them.
+from the conditional likelihood (forward-backward over segments) of labels that the patterns do not
+decide: base spans with what decides them taken away (the plus, the check digit, the dots of the domain),
+and segments after a word that names their kind. The sample of zones is bounded and drawn for each kind.
+What looks like such a label but has none is left out, not a counterexample. Segments that the model
+chooses beside the base spans are added to them.
 """
 
 from __future__ import annotations
 
 import hashlib
 import math
+import random
 import re
 from collections.abc import Iterator
 
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codeprov.llm.common import slices
+from codeprov.llm.common import cut_lineage, slices
 
 KINDS = ("email", "ip", "card", "phone")
 #: Bounds of the training sample and of an entity.
 SAMPLE_ZONES, ZONE_CHARS, MOST_TOKENS, MOST_DIGITS = 600, 300, 24, 20
+#: Views of each label that are learned.
+VIEWS = 3
+#: Characters before a segment in which its last three words are looked at, and words that name a kind.
+LEAD = 32
+CUES = {w: k for k, words in ((0, "email mail correo courriel"), (2, "card karte kreditkarte carte tarjeta visa mastercard amex"), (3, "phone telephone tel telefon téléphone teléfono call mobile mobil handy cell fax whatsapp")) for w in words.split()}
 #: A word with a digit or at sign, and such words after single blanks; linear in the text, in Java too.
 ZONE = r"(?<!\S)[^\s0-9@]*+[0-9@]\S*+(?:\x20[^\s0-9@]*+[0-9@]\S*+)*+"
 
@@ -33,6 +43,7 @@ _ip = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++")
 _card = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 _phone = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _any = re.compile(r"[0-9@]")
+_word = re.compile(r"[^\W\d_]+")
 _local = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 
 
@@ -85,21 +96,34 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
 
 
 def _around(text: str, at: int) -> str:
+    """The kind of character at a place; an end of the text and a mark that ends a word count as blank."""
     if not 0 <= at < len(text):
-        return "edge"
+        return "blank"
     c = text[at]
+    if c == ":" and text[at - 1 : at].isalpha():
+        return "blank"
+    if c in ".,;:!?" and not text[at + 1 : at + 2].isalnum():
+        return "blank"
     return "digit" if c.isdigit() else "letter" if c.isalpha() else "blank" if c.isspace() else c
 
 
+def _cued(text: str, at: int) -> set[int]:
+    """Kinds named by the last three words before a place."""
+    return {CUES[w] for w in _word.findall(text[max(0, at - LEAD) : at].lower())[-3:] if w in CUES}
+
+
 def candidates(text: str, start: int, end: int) -> tuple[list[int], list[tuple[int, int, int, list[str]]]]:
     """Token bounds of a zone, and segments ``(first token, token after, kind, features)``."""
     marks = [m.start() for m in _token.finditer(text, start, end)] + [end]
     n = len(marks) - 1
     segments = []
+    cued: dict[int, set[int]] = {}
 
     def add(i: int, j: int, kind: int, own: list[str]) -> None:
         k = KINDS[kind]
-        near = [f"before {_around(text, marks[i] - 1)}", f"after {_around(text, marks[j])}"]
+        if i not in cued:
+            cued[i] = _cued(text, marks[i])
+        near = [f"before {_around(text, marks[i] - 1)}", f"after {_around(text, marks[j])}", f"cued {kind in cued[i]}"]
         segments.append((i, j, kind, [f"{k} {f}" for f in ("is", *near, *own)]))
 
     for i in range(n):
@@ -118,12 +142,12 @@ def candidates(text: str, start: int, end: int) -> tuple[list[int], list[tuple[i
                     shape = ".".join(map(str, groups))
                     if numeric and len(groups) == 4 and seps == {"."} and j == i + 6:
                         add(i, j + 1, 1, [f"octets {all(map(_octet, text[marks[i] : marks[j + 1]].split('.')))}"])
-                    if numeric and len(digits) >= 10 and seps <= {" ", "-"}:
-                        add(i, j + 1, 2, [f"digits {len(digits)}", f"luhn {luhn(digits)} {12 <= len(digits) <= 19}", f"groups {min(len(groups), 6)}"])
+                    if numeric and len(digits) >= 10 and seps <= {" ", "-", "."}:
+                        add(i, j + 1, 2, [f"digits {len(digits)}", f"luhn {luhn(digits)} {12 <= len(digits) <= 19} {len(groups) == 1}", f"opens {digits[0]}", f"shape {shape}" if len(groups) < 7 else "shape long"])
                     if len(digits) >= 7:
                         opening = first if not numeric else "digit"
-                        add(i, j + 1, 3, [f"opens {opening}", f"digits {len(digits)}", f"opens {opening} fits {9 <= len(digits) <= 15}", f"shape {shape}" if len(groups) < 7 else "shape long", f"dots {'.' in seps}"])
-                elif c in " -" or c in "().+" and (c != "+" or j == i):
+                        add(i, j + 1, 3, [f"opens {opening}", f"digits {len(digits)}", f"opens {opening} fits {9 <= len(digits) <= 15}", f"shape {shape}" if len(groups) < 7 else "shape long", f"ends {groups[-1]} of {min(len(groups), 6)}", f"dots {'.' in seps}"])
+                elif c in " -" or c in "()./+" and (c != "+" or j == i):
                     seps.add(c)
                 else:
                     break
@@ -196,19 +220,105 @@ def marginals(n: int, segments: list, scores: list[float]) -> tuple[float, list[
     return z, [math.exp(a[i] + scores[x] + b[j] - z) for x, (i, j, _, _) in enumerate(segments)]
 
 
-def train(zones: list[str], epochs: int = 12, rate: float = 0.5, ridge: float = 1e-3) -> dict[str, float]:
-    """Weights from zones whose base spans are taken as the labels."""
-    ready = []
-    for z in zones:
-        marks, segments = candidates(z, 0, len(z))
-        at = {m: i for i, m in enumerate(marks)}
-        gold, last = set(), 0
-        for s, kind, e in sorted(base_spans(z), key=lambda x: (x[0], -x[2])):
+def _seeds() -> tuple[list[str], list[str]]:
+    """Zones that every training sees: with base spans of each kind, and without personal data."""
+    rng = random.Random(7)
+    fill = lambda shape: re.sub("#", lambda _: rng.choice("0123456789"), shape)
+
+    def card(valid: bool, length: int) -> str:
+        while luhn(n := rng.choice("3456") + fill("#" * (length - 1))) != valid:
+            pass
+        return n
+
+    held = [f(k) for k in range(12) for f in (lambda k: f"u{k}.{fill('##')}@mail{k}.example.com", lambda _: card(True, 16), lambda _: card(True, 15), lambda _: fill("+1 (###) ###-####"), lambda _: fill("+44 ## #### ####"), lambda _: fill("+49 ## #######"))]
+    shapes = ["20##-0#-1#", "1#.0#.20##", "0#/1#/20##", "20##-0#-1# 1#", "19##-20##", "19##-19## 20##-20##", "978-#-##-######-#", "#-###-#####-#", "#.###.###", "# ### ###", "# ### ### ###", "##.###.### ##.###.###", "0.########", "#.#########", "#.##########", "##.########", "#.############", "#.#.#.####", "###-###", "####-####", "# # # # # # # #", "20## 20## 20## 20##", "## ## ## ## ## ## ##", "0x########", "pack@##", "#@#", "a@#", *("#" * n for n in range(7, 21))]
+    free = [fill(x) for x in shapes for _ in range(4)] + [card(False, 16) for _ in range(8)]
+    return held, free
+
+
+def labels(text: str, start: int, end: int) -> list[tuple[int, int, int]]:
+    """Base spans of a zone, and of its words where the zone as a whole has none (numbers that run together)."""
+    found = [(start + s, k, start + e) for s, k, e in base_spans(text[start:end])]
+    if not found:
+        found = [(m.start() + s, k, m.start() + e) for m in re.compile(r"[^\x20]+").finditer(text, start, end) for s, k, e in base_spans(m.group())]
+    return found
+
+
+def views(span: str, kind: int) -> list[tuple[str, str]]:
+    """``(words before, span)``: a base span written anew so that no pattern finds it."""
+    out = []
+    if kind == 0:
+        local, _, host = span.partition("@")
+        names = host.split(".")
+        out = [("", f"{local}@{n}") for n in names if n[-1:].isalpha()][:2]
+        out += [("mail ", v) for _, v in out[:1]]
+    elif kind == 2:
+        d = _digits(span)
+        wrong = d[:-1] + str((int(d[-1]) + 1) % 10)
+        fours = lambda x, by: by.join(x[i : i + 4] for i in range(0, len(x), 4))
+        out = [("", fours(wrong, " ")), ("", fours(d, ".")), ("", fours(wrong, "-")), ("card ", wrong), ("card ", fours(wrong, " "))]
+    elif kind == 3:
+        groups = re.findall("[0-9]+", span)
+        out = [("", span[1:]), ("", span[1:].lstrip("0123456789").lstrip(" .-"))]
+        out += [("", by.join(g)) for by in "- ." for g in (groups[1:], groups)]
+        out += [("phone ", "".join(groups)), ("call ", " ".join(groups[1:]))]
+        out = [(c, v) for c, v in out if len(_digits(v)) >= 7 and (c or len(re.findall("[0-9]+", v)) > 1)]
+    return [(c, v) for c, v in out if not base_spans(v)]
+
+
+def examples(zones: list) -> list[tuple[int, list, list[bool]]]:
+    """Tokens, segments and which of these are labels, for each zone that has segments and is decided.
+
+    A zone is a text or ``(text before, zone, text after)``. Each label gives its zone, and ``VIEWS`` of its views in turn.
+    """
+    held, free = _seeds()
+    ready, open_, seen, turn = [], [], set(), [0] * len(KINDS)
+
+    def learn(text: str, start: int, end: int, gold: list[tuple[int, int, int]]) -> None:
+        marks, segments = candidates(text, start, end)
+        at, chosen, last = {m: i for i, m in enumerate(marks)}, set(), start
+        for s, kind, e in sorted(gold, key=lambda x: (x[0], -x[2])):
             if s >= last and s in at and e in at:
-                gold.add((at[s], at[e], kind))
+                chosen.add((at[s], at[e], kind))
                 last = e
         if segments:
-            ready.append((len(marks) - 1, segments, [(i, j, k) in gold for i, j, k, _ in segments]))
+            ready.append((len(marks) - 1, segments, [x[:3] in chosen for x in segments]))
+
+    shown = lambda segment: (segment[2], next((f for f in segment[3] if " shape " in f or " no dot " in f), ""))
+    for z in [*held, *zones]:
+        before, z, after = ("", z, "") if isinstance(z, str) else z
+        text, start, end = before + z + after, len(before), len(before) + len(z)
+        gold = labels(text, start, end)
+        if gold:
+            learn(text, start, end, gold)
+        for s, kind, e in gold:
+            made = views(text[s:e], kind)
+            for cue, v in [made[(turn[kind] + x) % len(made)] for x in range(min(VIEWS, len(made)))]:
+                changed = text[:s] + cue + v + text[e:]
+                learn(changed, s + len(cue), s + len(cue) + len(v), [(s + len(cue), kind, s + len(cue) + len(v))])
+            turn[kind] += VIEWS
+            for _, v in made:
+                marks, segments = candidates(v, 0, len(v))
+                seen.update(shown(x) for x in segments if x[0] == 0 and x[1] == len(marks) - 1 and x[2] == kind and " " in v.strip() + " " * (kind == 0 or len(re.findall("[0-9]+", v)) > 1))
+        if not gold:
+            open_.append((text, start, end))
+    for text, start, end in open_:
+        marks, segments = candidates(text, start, end)
+        named = [x for x in segments if f"{KINDS[x[2]]} cued True" in x[3]]
+        if named:
+            first = min(named, key=lambda x: (x[0], -x[1]))
+            learn(text, start, end, [(marks[first[0]], first[2], marks[first[1]])])
+        elif "@" not in text[start:end] and "+" not in text[start:end] and not any(shown(x) in seen for x in segments):
+            learn(text, start, end, [])
+    for z in free:
+        learn(z, 0, len(z), [])
+    random.Random(5).shuffle(ready)
+    return ready
+
+
+def train(zones: list, epochs: int = 12, rate: float = 0.5, ridge: float = 1e-3) -> dict[str, float]:
+    """Weights from zones, by the labels of ``examples``."""
+    ready = examples(zones)
     weights: dict[str, float] = {}
     square: dict[str, float] = {}
     for _ in range(epochs):
@@ -245,10 +355,44 @@ def spans(text: str, weights: dict[str, float]) -> tuple[list[tuple[int, int, in
 
 
 def fit(docs: DataFrame, zones: int = SAMPLE_ZONES) -> dict[str, float]:
-    """Weights learned from at most ``zones`` distinct zones of ``docs``, chosen by their hash."""
-    found = docs.where(F.col("text").rlike("[0-9@]")).select(F.explode(F.regexp_extract_all("text", F.lit(ZONE), F.lit(0))).alias("z"))
-    found = found.where(F.length("z").between(6, ZONE_CHARS)).groupBy("z").agg(F.xxhash64("z").alias("h"))
-    return train([r["z"] for r in found.orderBy("h", "z").limit(zones).collect()])
+    """Weights learned from at most ``zones`` zones of ``docs``: as many of each kind, and without any, by their hash.
+
+    A task keeps only its own first zones of each kind, which hold the first of all.
+    """
+    each = zones // (len(KINDS) + 1)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[dict] = [{} for _ in range(len(KINDS) + 1)]
+
+        def first(found: dict) -> dict:
+            return dict(sorted(found.items(), key=lambda x: (x[1][0], x[0]))[:each])
+
+        for b in slices(batches):
+            for t in b.column("text").to_pylist():
+                if not t or not _any.search(t):
+                    continue
+                for m in _zone.finditer(t):
+                    s, e = m.span()
+                    if not 6 <= e - s <= ZONE_CHARS:
+                        continue
+                    z, around = m.group(), (t[max(0, s - LEAD) : s], t[e : e + 2])
+                    for kind in {k for _, k, _ in labels(t, s, e)} | _cued(t, s) or {len(KINDS)}:
+                        h, *old = held[kind].get(z, (None, None))
+                        if h is None:
+                            h, old = xxhash.xxh64_intdigest(z.encode("utf-8", "surrogatepass")) >> 1, [around]
+                        held[kind][z] = (h, min(old[0], around))
+                        if len(held[kind]) > 4 * each:
+                            held[kind] = first(held[kind])
+        rows = [(kind, h, z, *around) for kind, found in enumerate(held) for z, (h, around) in first(found).items()]
+        if rows:
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), pa.int64(), *[pa.string()] * 3), strict=True)], names=["kind", "h", "z", "lead", "tail"])
+
+    found = cut_lineage(docs.select("text").mapInArrow(work, "kind int, h long, z string, lead string, tail string"))
+    rows = []
+    for kind in range(len(KINDS) + 1):
+        once = found.where(F.col("kind") == kind).groupBy("h", "z").agg(F.min(F.struct("lead", "tail")).alias("around"))
+        rows += once.orderBy("h", "z").limit(each).collect()
+    return train([(r["around"]["lead"], r["z"], r["around"]["tail"]) for r in rows])
 
 
 def detect(docs: DataFrame, weights: dict[str, float] | None = None, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:

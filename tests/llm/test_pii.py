@@ -82,3 +82,28 @@ def test_edges(spark):
     assert sorted(r.n_email for r in got) == [0, 0, 1, 1, 2000]
     assert pii.redact(d).where("text is null").count() == 1
     assert pii.detect(d.limit(0)).count() == 0
+
+
+#: What no pattern finds, with its kind; and what is no personal data.
+PLANTED = [("Call (555) 123-4567 now", "(555) 123-4567", "phone"), ("Ring 212-555-0198.", "212-555-0198", "phone"), ("Write to user@localhost please", "user@localhost", "email"), ("Pay with 4111.1111.1111.1111, or", "4111.1111.1111.1111", "card"), ("my card 4111111111111112 is", "4111111111111112", "card"), ("it is 4111 1111 1111 1112 or", "4111 1111 1111 1112", "card"), ("a 4111111111111111 5500005555555559 b", "4111111111111111", "card"), ("my phone 5551234567 is", "5551234567", "phone")]
+CLEAN = ["on 2024-01-31 and", "ISBN 978-3-16-148410-0", "id 1234567890 of", "from 1990-1999", "costs 1.234.567 or", "is 3.1415926535", "see 4111111111111112 of", "react@18 is"]
+
+
+def test_planted_spans_outside_the_patterns_are_added_and_masked(spark):
+    schema = "doc_id long, text string"
+    given = [(i, t) for i, t in enumerate([t for t, _, _ in PLANTED] + CLEAN)]
+    learned = [(100 + k, f"words {span} follow") for k in range(20) for span in (f"u{k}@mail{k}.example.com", f"+1 (2{k:02}) 555-{k * 37:04}", f"10.0.{k}.7")]
+    for rows in (given, given + learned):
+        d = spark.createDataFrame(rows, schema)
+        got = {r.doc_id: r for r in pii.digest(pii.detect(d)).collect()}
+        masked = {r.doc_id: r.text for r in pii.redact(d).collect()}
+        for i, (text, span, kind) in enumerate(PLANTED):
+            at = text.index(span)
+            assert f"{kind}:{at}:{at + len(span)}" in got[i].spans.split(","), text
+            assert span not in masked[i] and f"[{kind.upper()}]" in masked[i]
+        assert all(not got[i].spans and masked[i] == t for i, t in given[len(PLANTED) :])
+
+
+def test_the_sample_holds_every_kind():
+    rows = pii.examples([("", f"+1 (2{k:02}) 555-0100", "") for k in range(50)])
+    assert {s[2] for _, segments, gold in rows for s, g in zip(segments, gold, strict=True) if g} >= {0, 2, 3}
