@@ -20,12 +20,14 @@ from pyspark.sql import functions as F
 
 from codeprov.llm.common import held_out, slices
 
-#: The bound of the labelled sample: whole documents of each language up to so many letters.
+#: The bound of the labelled sample: documents of each language, or pieces of long ones, up to so many letters.
 SAMPLE_CHARS = 24_000
 #: And at most so many candidate documents of a language are looked at on the driver.
 SAMPLE_DOCS = 60
-#: Languages learned; the most frequent ones if there are more.
-MOST_LANGUAGES = 64
+#: Documents from which a language that is short of text gets pieces, about.
+PIECE_DOCS = 48
+#: So many languages get the whole bound; more of them share the letters of so many.
+FULL_LANGUAGES = 64
 #: Letters of the dense table: 0 pads, 1..39 frequent letters, the others share 24 classes by code block.
 LETTERS, FREQUENT = 64, 40
 #: A longer text is parsed in blocks of so many letters (each restarts the phrase).
@@ -164,37 +166,58 @@ class Model:
 
 
 def sample(labelled: DataFrame, chars: int = SAMPLE_CHARS, docs: int = SAMPLE_DOCS) -> dict[str, str]:
-    """Training text of each language: whole distinct documents in the order of a hash, up to ``chars`` letters.
+    """Training text of every language with a letter: distinct documents in the order of a hash, up to ``chars`` letters.
 
-    ``labelled`` has text and lang. Documents of more than a quarter of ``chars`` are left out, the others are
-    thinned by the hash of their text, copies fall together, and about four times ``docs`` short rows of a
-    language reach the driver. A language that stays short of text (most rows are copies or very long) is
-    looked for again among all its rows, then at most ``docs`` rows are taken.
+    ``labelled`` has text and lang. Beyond ``FULL_LANGUAGES`` languages all share the letters of so many. Whole
+    documents of at most a quarter of the bound come first: thinned by the hash of their text, copies fall
+    together, and about four times ``docs`` rows of a language reach the driver. A language that stays short
+    of text is looked for again, thinned by its distinct documents (most rows may be copies), then filled with
+    pieces of its longer documents.
     """
     labelled = labelled.where("text is not null and lang is not null")
-    counts = {r["lang"]: r["n"] for r in labelled.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(MOST_LANGUAGES).collect()}
-    rows = labelled.select("lang", letters_only(F.col("text")).alias("t"), F.xxhash64("text").alias("h")).where((F.length("t") <= chars // 4) & (F.length(F.trim("t")) > 0))
+    counts = {r["lang"]: r["n"] for r in labelled.groupBy("lang").agg(F.count("*").alias("n")).collect()}
+    chars = max(64, chars * FULL_LANGUAGES // max(FULL_LANGUAGES, len(counts)))
+    rows = labelled.select("lang", letters_only(F.col("text")).alias("t"), F.xxhash64("text").alias("h")).where(F.length(F.trim("t")) > 0)
+    short, long = rows.where(F.length("t") <= chars // 4), rows.where(F.length("t") > chars // 4)
     out: dict[str, str] = {}
 
-    def take(lang: str, found: list) -> bool:
-        rest, texts = chars, []
-        for r in sorted(found, key=lambda x: (x["h"], x["t"]))[:docs]:
-            t = r["t"].strip()
-            if len(t) < rest:
-                texts.append(t)
-                rest -= len(t) + 1
-        if texts:
-            out[lang] = " ".join(texts)
-        return rest <= chars // 2
-
-    share = F.lit(0.0)
-    for lang, n in counts.items():
-        share = F.when(F.col("lang") == lang, F.lit(min(1.0, 4 * docs / n))).otherwise(share)
-    once = lambda kept: kept.groupBy("lang", "h").agg(F.min("t").alias("t"))
-    first = once(rows.where(F.pmod("h", F.lit(1 << 30)) / (1 << 30) < share)).collect() if counts else []
-    for lang, n in counts.items():
-        if not take(lang, [r for r in first if r["lang"] == lang]) and 4 * docs < n:
-            take(lang, once(rows.where(F.col("lang") == lang)).orderBy("h", "t").limit(docs).collect())
+    def by_lang(kept: DataFrame, numbers: dict[str, int], most: int) -> dict[str, list]:
+        """Distinct rows of each language in ``numbers``, about ``most`` or all of them, in the order of their hash."""
+        found: dict[str, list] = {lang: [] for lang in numbers}
+        if numbers:
+            share = F.create_map(*(F.lit(x) for lang, n in numbers.items() for x in (lang, min(1.0, most / n))))[F.col("lang")]
+            once = kept.where(F.pmod("h", F.lit(1 << 30)) / (1 << 30) < share).groupBy("lang", "h").agg(F.min("t").alias("t"))
+            for r in sorted(once.collect(), key=lambda x: (x["h"], x["t"])):
+                found[r["lang"]].append(r["t"].strip())
+        return found
+
+    def distinct(kept: DataFrame, langs: list[str]) -> dict[str, int]:
+        return {r["lang"]: r["n"] for r in kept.where(F.col("lang").isin(langs)).groupBy("lang").agg(F.approx_count_distinct("h").alias("n")).collect()} if langs else {}
+
+    def take(found: dict[str, list]) -> None:
+        for lang, most in found.items():
+            rest, texts = chars, []
+            for t in most[:docs]:
+                if len(t) < rest:
+                    texts.append(t)
+                    rest -= len(t) + 1
+            if texts:
+                out[lang] = " ".join(texts)
+
+    poor = lambda: [lang for lang in counts if len(out.get(lang, "")) < chars // 2]
+    take(by_lang(short, counts, 4 * docs))
+    take(by_lang(short, distinct(short, [lang for lang in poor() if 4 * docs < counts[lang]]), 4 * docs))
+    numbers = distinct(long, poor())
+    few = [lang for lang, n in numbers.items() if n <= PIECE_DOCS // 6]
+    size = F.when(F.col("lang").isin(few), chars).otherwise(chars // 4)
+    place = F.expr("1 + pmod(h, greatest(1, length(t) - size + 1))").cast("int")
+    pieces = long.withColumn("size", size).select("lang", "h", F.substr("t", place, F.col("size")).alias("t"))
+    for lang, found in by_lang(pieces, numbers, PIECE_DOCS).items():
+        # A quarter of the bound from each document, then the rest of what was read of them.
+        for t in [t[: chars // 4] for t in found] + [t[chars // 4 :] for t in found]:
+            rest = chars - len(out.get(lang, ""))
+            if t and rest > 1:
+                out[lang] = f"{out[lang]} {t[: rest - 1]}" if lang in out else t[:rest]
     return out
 
 

@@ -49,3 +49,31 @@ def test_edges(spark):
     assert [(r.doc_id, r.lang_pred) for r in got] == [(1, "und"), (2, "und"), (None, "aa"), (4, "bb"), (4, "aa")]
     assert {r.lang_pred for r in langid.identify(spark.createDataFrame([(1, "abc", None)], "doc_id long, text string, lang string")).collect()} == {"und"}
     assert langid.identify(spark.createDataFrame([], "doc_id long, text string, lang string")).count() == 0
+
+
+def invented(k, n):
+    """``n`` letters or more of a language of its own."""
+    import random
+
+    rng = random.Random(k)
+    words = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randint(2, 7))) for _ in range(40)]
+    return " ".join(rng.choice(words) for _ in range(n // 3))
+
+
+def test_languages_of_long_documents_are_learned(spark):
+    texts = {"short": invented(1, 900), "long": invented(2, 60000), "copies": invented(3, 60000)}
+    rows = [("short", f"{texts['short']} {i}") for i in range(20)] + [("long", f"{texts['long']} x{'y' * i}") for i in range(20)] + [("copies", texts["copies"])] * 400
+    samples = langid.fit(spark.createDataFrame(rows, "lang string, text string"))
+    assert set(samples) == set(texts) and all(0 < len(s) <= langid.SAMPLE_CHARS for s in samples.values())
+    assert len(samples["long"]) > langid.SAMPLE_CHARS // 2 and len(samples["copies"]) > langid.SAMPLE_CHARS // 2
+    docs = spark.createDataFrame([(k, t[500:900]) for k, t in texts.items()], "doc_id string, text string")
+    assert all(r.lang_pred == r.doc_id for r in langid.predict(docs, samples).collect())
+
+
+def test_more_languages_than_the_full_bound_share_it(spark):
+    n = langid.FULL_LANGUAGES + 16
+    rows = [(f"l{k:03}", invented(k, 1500)) for k in range(n) for _ in range(1 + k % 2)]
+    samples = langid.fit(spark.createDataFrame(rows, "lang string, text string"))
+    assert len(samples) == n and sum(map(len, samples.values())) <= langid.SAMPLE_CHARS * langid.FULL_LANGUAGES
+    docs = spark.createDataFrame([(k, t[:300]) for k, t in rows], "doc_id string, text string")
+    assert all(r.lang_pred == r.doc_id for r in langid.predict(docs, samples).collect())
