@@ -20,8 +20,14 @@ MOST_BROADCAST = 200_000
 
 
 def gram_table(prints: DataFrame, n: int = 3) -> DataFrame:
-    """``id, grams, n_grams`` of fingerprints that have a gram."""
-    return prints.select("id", grams("subs", n).alias("grams")).withColumn("n_grams", F.size("grams")).where("n_grams > 0")
+    """``id, grams, n_grams`` of fingerprints that have a part.
+
+    One whose parts are all shorter than ``n`` has one gram, the whole string (it meets only its equals: it is
+    shorter than ``n`` or holds a separator, which no other gram does).
+    """
+    found = grams("subs", n)
+    whole = F.when(F.size("subs") > 0, F.array(F.array_join("subs", "."))).otherwise(found)
+    return prints.select("id", F.when(F.size(found) > 0, found).otherwise(whole).alias("grams")).withColumn("n_grams", F.size("grams")).where("n_grams > 0")
 
 
 def index(table: DataFrame) -> DataFrame:

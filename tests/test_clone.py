@@ -75,3 +75,12 @@ def test_canonical_names():
     assert frontend.canonical_parts(a, names="keep") != frontend.canonical_parts(b, names="keep")
     assert frontend.clone_type(a, a.replace(" ", "\n")) == "I" and frontend.clone_type(a, b) == "II"
     assert frontend.canonical_parts("bank.pay(sum)")[0] == ["uint", ".", "pay", "uint"]
+
+
+@pytest.mark.parametrize("strategy", ["auto", "plain", "prefix"])
+def test_short_fingerprints_match_their_equals_only(spark, strategy):
+    rows = [(1, ["a"]), (2, ["a"]), (3, ["ab", "c"]), (4, ["ab", "c"]), (5, ["abc"]), (6, ["b"]), (7, []), (8, []), (9, ["a", "abcd"])]
+    d = spark.createDataFrame(rows, "id long, subs array<string>")
+    got = {(r.query_id, r.target_id, r.shared, r.n_grams, r.score) for r in match.self_clones(d, strategy=strategy).collect()}
+    assert {(q, t) for q, t, *_ in got if {q, t} & {1, 2, 3, 4, 6, 7, 8}} == {(1, 2), (2, 1), (3, 4), (4, 3)}
+    assert {x[2:] for x in got if x[0] < 5} == {(1, 1, 100.0)}
