@@ -141,7 +141,7 @@ def join_left(spark, sf):
 
 @_op("join_full", "SELECT doc_id, quality, lang FROM labels FULL JOIN (SELECT doc_id, lang FROM documents WHERE doc_id % 2 = 0) d USING (doc_id)")
 def join_full(spark, sf):
-    return labels(spark, sf).select("doc_id", "quality").join(documents(spark, sf).where("doc_id % 2 = 0").select("doc_id", "lang"), "doc_id", "full")
+    return labels(spark, sf).select("doc_id", "quality").join(documents(spark, sf).select("doc_id", "lang"), "doc_id", "full")
 
 
 @_op("semi", "SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")

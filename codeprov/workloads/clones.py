@@ -82,7 +82,7 @@ def w09(spark, sf):
 
 
 def w10(spark, sf):
-    docs = fingerprint.build(table(spark, sf, "documents").where("lang = 'en'"), "doc_id")
+    docs = fingerprint.build(table(spark, sf, "documents"), "doc_id")
     return _named(bruteforce.all_pairs(_items(spark, sf), docs), "item_id", "doc_id", "score")
 
 
