@@ -59,7 +59,7 @@ def retrieve(queries: DataFrame, targets: DataFrame, n: int = 3, eta: float = 0.
     if strategy == "auto":
         strategy = "plain" if small and not self_join else "prefix"
     if strategy == "prefix":
-        probes = _prefix(q, t, eta)
+        probes = _prefix(q, t, eta, rounding)
     elif strategy == "plain":
         probes = q.select(F.explode("grams").alias("gram"), F.col("id").alias("query_id"), "n_grams")
     else:
@@ -80,7 +80,7 @@ def retrieve(queries: DataFrame, targets: DataFrame, n: int = 3, eta: float = 0.
     return counted.where(f"shared >= {needed(eta, rounding)}").withColumn("containment", F.col("shared") / F.col("n_grams"))
 
 
-def _prefix(q: DataFrame, t: DataFrame, eta: float) -> DataFrame:
+def _prefix(q: DataFrame, t: DataFrame, eta: float, rounding: str = "exact") -> DataFrame:
     """The rarest grams of each query that must hit any answer."""
     asked = q.select("id", "n_grams", F.explode("grams").alias("gram"))
     ranked = asked.join(stats(t), "gram")
@@ -88,7 +88,7 @@ def _prefix(q: DataFrame, t: DataFrame, eta: float) -> DataFrame:
     # Grams that no target has are the rarest of all: they use up places of the prefix without a posting.
     found = F.count("*").over(Window.partitionBy("id"))
     ranked = ranked.withColumns({"place": F.row_number().over(by), "missing": F.col("n_grams") - found})
-    return ranked.where(f"missing + place <= n_grams - ceil({eta} * n_grams) + 1").select("gram", F.col("id").alias("query_id"), "n_grams")
+    return ranked.where(f"missing + place <= n_grams - ceil({needed(eta, rounding)}) + 1").select("gram", F.col("id").alias("query_id"), "n_grams")
 
 
 def _seeder(seed: int):

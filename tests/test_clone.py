@@ -84,3 +84,11 @@ def test_short_fingerprints_match_their_equals_only(spark, strategy):
     got = {(r.query_id, r.target_id, r.shared, r.n_grams, r.score) for r in match.self_clones(d, strategy=strategy).collect()}
     assert {(q, t) for q, t, *_ in got if {q, t} & {1, 2, 3, 4, 6, 7, 8}} == {(1, 2), (2, 1), (3, 4), (4, 3)}
     assert {x[2:] for x in got if x[0] < 5} == {(1, 1, 100.0)}
+
+
+@pytest.mark.parametrize("rounding", ["exact", "up", "down"])
+def test_prefix_equals_plain_for_each_rounding(spark, rounding):
+    q = spark.createDataFrame([(1, ["abcde"]), (2, ["vwxyz"])], "id long, subs array<string>")
+    t = spark.createDataFrame([(10, ["abcq"]), (11, ["bcdq"]), (12, ["cdeq"]), (13, ["abcd"]), (14, ["uvwx"])], "id long, subs array<string>")
+    plain, prefix = ({(r.query_id, r.target_id, r.shared) for r in candidates.retrieve(q, t, eta=0.5, strategy=s, rounding=rounding).collect()} for s in ("plain", "prefix"))
+    assert plain == prefix and len(plain) == (5 if rounding == "down" else 1)
