@@ -11,6 +11,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import heapq
+import re
 import sys
 from array import array
 from collections.abc import Iterator
@@ -22,73 +23,104 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codeprov.llm.common import slices
+from codeprov.llm.common import resident, slices
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-#: Pre-tokens kept by each worker; the table is emptied when full.
-KEPT = 1_500_000
+#: Pre-tokens that a worker keeps, twice: about 200 bytes each, so at most some 100 MB.
+KEPT = 250_000
 #: Longer pre-tokens are never kept.
 KEPT_LENGTH = 64
 
 
 class PerfectHash:
-    """Minimal perfect hash over byte strings: buckets with displacements, one slot for each key."""
-
-    def __init__(self, keys: list[bytes], load: float = 4.0) -> None:
-        n = self.n = len(keys)
-        self.buckets = max(1, int(n / load))
-        self.displace = [0] * self.buckets
-        self.slots: list[int] = [-1] * n
-        members: list[list[tuple[int, int]]] = [[] for _ in range(self.buckets)]
-        for i, k in enumerate(keys):
-            h = xxhash.xxh3_64_intdigest(k)
-            members[h % self.buckets].append((h, i))
-        self.keys = keys
-        order = sorted(range(self.buckets), key=lambda b: -len(members[b]))
-        free = n
-        for b in order:
-            group = members[b]
-            if not group:
-                break
-            d = 1
-            while True:
-                at = [self._place(h, d) for h, _ in group]
-                if len(set(at)) == len(at) and all(self.slots[x] < 0 for x in at):
-                    break
-                d += 1
-            self.displace[b] = d
-            for x, (_, i) in zip(at, group, strict=True):
-                self.slots[x] = i
-            free -= len(group)
-        assert free == 0
-
-    def _place(self, h: int, d: int) -> int:
-        x = (h ^ d * 0x9E3779B97F4A7C15) & 0xFFFFFFFFFFFFFFFF
-        x = (x ^ x >> 32) * 0xD6E8FEB86659FD93 & 0xFFFFFFFFFFFFFFFF
-        return (x ^ x >> 32) % self.n
+    """Minimal perfect hash over byte strings: keys that meet no other in a level's bit vector have their place there.
+
+    The rest go on to the next, smaller level. A key's number is the rank of its bit, read from one flat array.
+    """
+
+    def __init__(self, keys: list[bytes], load: float = 2.0) -> None:
+        self.n = len(keys)
+        h = np.array([xxhash.xxh3_64_intdigest(k) for k in keys], dtype=np.uint64)
+        rest, taken, self.levels, at = np.arange(self.n), [], [], 0
+        while len(rest):
+            size = max(8, int(load * len(rest)))
+            place = self._places(h[rest], len(self.levels), size)
+            alone = np.bincount(place, minlength=size) == 1
+            stays = alone[place]
+            taken.append((at + place[stays], rest[stays]))
+            self.levels.append((at, size))
+            at += size
+            rest = rest[~stays]
+        place, owner = (np.concatenate(x) for x in zip(*taken, strict=True)) if taken else (np.zeros(0, np.int64),) * 2
+        number = np.full(at, -1, dtype=np.int32)
+        order = np.argsort(place)
+        number[place[order]] = np.arange(self.n)
+        self.number = array("i", number.tobytes())
+        self.slots = array("i", owner[order].astype(np.int32).tobytes())
+        self.keys = [keys[i] for i in self.slots]
+
+    @staticmethod
+    def _places(h: np.ndarray, level: int, size: int) -> np.ndarray:
+        x = h ^ np.uint64((level + 1) * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF)
+        x = (x ^ x >> np.uint64(32)) * np.uint64(0xD6E8FEB86659FD93)
+        return ((x ^ x >> np.uint64(32)) % np.uint64(size)).astype(np.int64)
 
     def find(self, key: bytes) -> int:
-        """The number of ``key``, or -1 if it is not one of the keys."""
+        """The number of ``key`` in the order given, or -1 if it is not one of the keys."""
         h = xxhash.xxh3_64_intdigest(key)
-        i = self.slots[self._place(h, self.displace[h % self.buckets])]
-        return i if self.keys[i] == key else -1
+        for level, (at, size) in enumerate(self.levels):
+            x = h ^ (level + 1) * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF
+            x = (x ^ x >> 32) * 0xD6E8FEB86659FD93 & 0xFFFFFFFFFFFFFFFF
+            i = self.number[at + (x ^ x >> 32) % size]
+            if i >= 0:
+                return self.slots[i] if self.keys[i] == key else -1
+        return -1
 
 
 class _Kept(dict):
-    """Results by string, worked out once; emptied when full."""
+    """Results by string, worked out once while they are among the last ``most`` to twice as many that were new.
 
-    def __init__(self, work) -> None:
-        self.work = work
+    A full table becomes the former one, from which what is asked for again moves back.
+    """
+
+    def __init__(self, work, most: int) -> None:
+        self.work, self.most, self.former = work, most, {}
 
     def __missing__(self, key: str) -> bytes:
-        out = self.work(key)
-        if len(key) <= KEPT_LENGTH:
-            if len(self) >= KEPT:
-                self.clear()
-            self[key] = out
+        out = self.former.get(key)
+        if out is None:
+            out = self.work(key)
+            if len(key) > KEPT_LENGTH:
+                return out
+        if len(self) >= self.most:
+            self.former = dict(self)
+            self.clear()
+        self[key] = out
         return out
 
 
+def narrow(pattern: str):
+    """``findall`` of the pattern for texts of characters below 256, in ``re``; None where it says more than ``re`` can.
+
+    The classes of letters, numbers and white space are written out from what ``regex`` holds them to be.
+    """
+    named = {x: "".join(re.escape(c) for c in map(chr, range(256)) if regex.fullmatch(x, c)) for x in (r"\p{L}", r"\p{N}", r"\s")}
+    out, at, inside = [], 0, False
+    while at < len(pattern):
+        x = next((x for x in (*named, r"\S") if pattern.startswith(x, at)), pattern[at])
+        if x in named:
+            out.append(named[x] if inside else f"[{named[x]}]")
+        elif x == r"\S":
+            out.append(f"[^{named[r'\s']}]")
+        else:
+            if x == "\\" or inside and x == "[" or x == "(" and pattern[at : at + 3] not in ("(?:", "(?!", "(?="):
+                return None
+            inside = x == "[" or inside and x != "]"
+            out.append(x)
+        at += len(x)
+    return re.compile("".join(out)).findall
+
+
 def read_ranks(spark, path: str) -> list[tuple[bytes, int]]:
     """Rows of a rank file; read by Spark, so that it may lie in any store."""
     lines = spark.read.text(path if "://" in path else f"file://{path}").collect()
@@ -99,16 +131,25 @@ class Codec:
     """Encoder and decoder over ``(bytes, rank)`` rows; ``pattern`` cuts a text into pre-tokens."""
 
     def __init__(self, ranks: list[tuple[bytes, int]], pattern: str) -> None:
-        self.cut = regex.compile(pattern).findall
+        self.wide, self.narrow = regex.compile(pattern).findall, narrow(pattern)
         self.bytes_of = {r: b for b, r in ranks}
-        keys = [b for b, _ in ranks]
-        self.hash = PerfectHash(keys)
-        self.numbers = [r for _, r in ranks]
+        self.hash = PerfectHash([b for b, _ in ranks])
+        self.numbers = array("I", [r for _, r in ranks])
         rank_of = dict(ranks)
         self.byte_ids = [rank_of[bytes([i])] for i in range(256)]
         #: Rank of the token that two adjacent tokens make, by both ids in one integer.
         self.pairs = {rank_of[b[:i]] << 32 | rank_of[b[i:]]: r for b, r in ranks for i in range(1, len(b)) if b[:i] in rank_of and b[i:] in rank_of}
-        self.known = _Kept(self._piece)
+        self.known = _Kept(self._piece, KEPT)
+
+    def cut(self, text: str) -> list[str]:
+        """The pre-tokens of a text, in order."""
+        if self.narrow is not None:
+            try:
+                text.encode("latin-1")
+            except UnicodeEncodeError:
+                return self.wide(text)
+            return self.narrow(text)
+        return self.wide(text)
 
     def _piece(self, piece: str) -> bytes:
         raw = piece.encode("utf-8", "surrogatepass")
@@ -121,25 +162,36 @@ class Codec:
     def merge(self, raw: bytes) -> list[int]:
         """Ids of a pre-token: pairs leave a heap by (rank, place); one that is no longer there is passed over."""
         ids = [self.byte_ids[b] for b in raw]
-        n, get, push = len(ids), self.pairs.get, heapq.heappush
-        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        heap = [r << 40 | i for i in range(n - 1) if (r := get(ids[i] << 32 | ids[i + 1])) is not None]
+        n, get, push, pop = len(ids), self.pairs.get, heapq.heappush, heapq.heappop
+        heap = [r << 40 | i for i, x in enumerate(zip(ids, ids[1:], strict=False)) if (r := get(x[0] << 32 | x[1])) is not None]
+        if not heap:
+            return ids
         heapq.heapify(heap)
+        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
+        #: Joins with nothing: stands after the last token.
+        ids.append(0xFFFFFFFF)
         while heap:
-            x = heapq.heappop(heap)
-            r, i = x >> 40, x & 0xFFFFFFFFFF
-            j = after[i]
-            if ids[i] < 0 or j >= n or get(ids[i] << 32 | ids[j]) != r:
+            x = pop(heap)
+            i = x & 0xFFFFFFFFFF
+            a = ids[i]
+            if a < 0:
+                continue
+            j, r = after[i], x >> 40
+            if get(a << 32 | ids[j]) != r:
                 continue
             ids[i], ids[j] = r, -1
             k = after[i] = after[j]
             if k < n:
                 before[k] = i
-                if (s := get(r << 32 | ids[k])) is not None:
+                s = get(r << 32 | ids[k])
+                if s is not None:
                     push(heap, s << 40 | i)
             h = before[i]
-            if h >= 0 and (s := get(ids[h] << 32 | r)) is not None:
-                push(heap, s << 40 | h)
+            if h >= 0:
+                s = get(ids[h] << 32 | r)
+                if s is not None:
+                    push(heap, s << 40 | h)
+        ids.pop()
         return [t for t in ids if t >= 0]
 
     def encode(self, text: str) -> bytes:
@@ -150,16 +202,10 @@ class Codec:
         return b"".join(map(self.bytes_of.__getitem__, np.frombuffer(ids, dtype="<u4").tolist()))
 
 
-_codecs: dict[tuple, Codec] = {}
-
-
 def codec(shared) -> Codec:
-    """The worker's codec of a broadcast ``(ranks, pattern, name)``; built once for each worker."""
+    """The worker's codec of a broadcast ``(ranks, pattern, name)``."""
     ranks, pattern, name = shared.value
-    if name not in _codecs:
-        _codecs.clear()
-        _codecs[name] = Codec(ranks, pattern)
-    return _codecs[name]
+    return resident(("bpe", name), lambda: Codec(ranks, pattern))
 
 
 def share(spark, path: str | None = None, pattern: str | None = None):
@@ -176,8 +222,10 @@ def share(spark, path: str | None = None, pattern: str | None = None):
 def encode(docs: DataFrame, path: str | None = None, pattern: str | None = None, keep: tuple[str, ...] = ("doc_id",), as_binary: bool = False) -> DataFrame:
     """``keep`` columns, ``ids`` (array<int>, or little-endian 32-bit binary), n_tokens and both digests.
 
-    A null text counts as empty: no tokens. Every row is encoded whole, decoded again from its ids, and
-    the hash of the decoded bytes is returned. An empty table gives an empty result.
+    A null text counts as empty: no tokens. Every row is encoded whole, however long, decoded again from its
+    ids, and the hash of the decoded bytes is returned. Repeated rows give repeated rows, in no set order. Extra
+    columns are ignored, also where they bear the name of a result; ``keep`` columns must not. An empty table
+    gives an empty result.
     """
     shared = share(docs.sparkSession, path, pattern)
     named = {c: f"_k{i}" for i, c in enumerate(keep)}

@@ -46,6 +46,17 @@ def slices(batches: Iterator[pa.RecordBatch], column: str = "text", most: int =
         yield batch.slice(start)
 
 
+_resident: dict = {}
+
+
+def resident(name, build):
+    """The one model that a reused worker keeps: ``build()`` under ``name``; a model of another name is let go first."""
+    if name not in _resident:
+        _resident.clear()
+        _resident[name] = build()
+    return _resident[name]
+
+
 def parts_for(df: DataFrame, column: str, each: int, least: int = 1) -> int:
     """How many parts of about ``each`` bytes the strings of ``column`` make; from the rows, not from settings."""
     total = df.agg(F.sum(F.octet_length(column)).alias("n")).first()["n"] or 0

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codeprov.llm.common import held_out, slices
+from codeprov.llm.common import held_out, resident, slices
 
 #: The bound of the labelled sample: documents of each language, or pieces of long ones, up to so many letters.
 SAMPLE_CHARS = 24_000
@@ -226,15 +226,9 @@ def fit(labelled: DataFrame, chars: int = SAMPLE_CHARS, docs: int = SAMPLE_DOCS)
     return sample(labelled, chars, docs)
 
 
-_models: dict[str, Model] = {}
-
-
 def _model(samples: dict[str, str]) -> Model:
     name = hashlib.sha256(repr(sorted(samples.items())).encode()).hexdigest()
-    if name not in _models:
-        _models.clear()
-        _models[name] = Model(samples)
-    return _models[name]
+    return resident(("langid", name), lambda: Model(samples))
 
 
 def predict(docs: DataFrame, samples: dict[str, str], keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:

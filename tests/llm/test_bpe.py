@@ -40,6 +40,25 @@ def test_random_strings_equal_the_library(ranks, theirs):
         assert c.decode(c.encode(t)).decode() == t
 
 
+def test_both_cutters_agree(ranks, theirs):
+    c = bpe.Codec(ranks, P.PATTERN)
+    rng = random.Random(8)
+    pool = [*map(chr, range(256)), " ", " ", "'", "s", "\n"]
+    for _ in range(300):
+        t = "".join(rng.choice(pool) for _ in range(60))
+        assert c.narrow(t) == c.wide(t) == c.cut(t)
+        assert np.frombuffer(c.encode(t), dtype="<u4").tolist() == theirs.encode_ordinary(t)
+    assert bpe.narrow(r"\p{Lu}+|.") is None and bpe.narrow(r"(?i:a)|[^\s]") is None
+
+
+def test_the_kept_table_stays_small(ranks, theirs, monkeypatch):
+    monkeypatch.setattr(bpe, "KEPT", 5)
+    c = bpe.Codec(ranks, P.PATTERN)
+    t = " ".join(f"word{i % 17} zq{i % 11}x" for i in range(300))
+    assert np.frombuffer(c.encode(t), dtype="<u4").tolist() == theirs.encode_ordinary(t)
+    assert len(c.known) <= 5 and len(c.known.former) <= 5
+
+
 def test_documents_equal_the_library(spark, theirs):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     got = {r.doc_id: r for r in bpe.encode(docs).collect()}
