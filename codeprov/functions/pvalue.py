@@ -34,8 +34,8 @@ def incomplete_beta(a: float, b: float, x: float) -> float:
 
 
 def p_value(rho: float, n: int) -> float | None:
-    """Two-sided, n - 2 degrees of freedom; null for fewer than three pairs."""
-    if n < 3:
+    """Two-sided, n - 2 degrees of freedom; null for fewer than three pairs or an undefined ``rho``."""
+    if n < 3 or rho is None or math.isnan(rho):
         return None
     if abs(rho) >= 1:
         return 0.0

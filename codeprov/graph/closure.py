@@ -43,6 +43,32 @@ def reach(edges: DataFrame, kind: str, sources: DataFrame, max_hops: int | None
     return seen if seen is not None else front.where("false").withColumn("hops", F.lit(0))
 
 
+def formed(edges: DataFrame, kind: str, sources: DataFrame, budget: int) -> DataFrame:
+    """``unit_id, hops, pairs``: pairs that a search from ``sources`` has formed after each hop.
+
+    A unit whose pairs exceed ``budget`` is searched no further, so the work is bounded by the budget and by the
+    widest step of a unit beyond it.
+    """
+    step = cut_lineage(edges.where(F.col("kind") == kind).select("unit_id", F.col("src").alias("at"), F.col("dst").alias("to")).distinct())
+    front = sources.select("unit_id", F.col("node_id").alias("src"), F.col("node_id").alias("dst")).distinct()
+    seen, counts, hops = None, None, 0
+    while True:
+        hops += 1
+        new = front.withColumnRenamed("dst", "at").join(step, ["unit_id", "at"]).select("unit_id", "src", F.col("to").alias("dst")).distinct()
+        if seen is not None:
+            new = new.join(seen, ["unit_id", "src", "dst"], "left_anti")
+        new = cut_lineage(new)
+        if new.isEmpty():
+            break
+        seen = cut_lineage(new if seen is None else seen.unionByName(new))
+        now = cut_lineage(seen.groupBy("unit_id").agg(F.count("*").alias("pairs")))
+        counts = now.withColumn("hops", F.lit(hops)) if counts is None else counts.unionByName(now.withColumn("hops", F.lit(hops)))
+        within = now.where(F.col("pairs") <= budget)
+        front = new.join(within, "unit_id", "left_semi")
+        seen = seen.join(within, "unit_id", "left_semi")
+    return (counts if counts is not None else front.where("false").select("unit_id", F.lit(0).cast("long").alias("pairs"), F.lit(0).alias("hops"))).select("unit_id", "hops", "pairs")
+
+
 def trails(edges: DataFrame, kind: str, src: int, dst: int, max_hops: int) -> DataFrame:
     """All edge-simple paths, for tiny graphs: the exponential reference of ``reach``. ``path`` lists the nodes."""
     step = edges.where(F.col("kind") == kind).select("unit_id", F.col("src").alias("at"), F.col("dst").alias("to"))

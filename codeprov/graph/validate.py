@@ -5,32 +5,25 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from codeprov.graph import closure
 from codeprov.graph.pattern import Rule, evaluate
 from codeprov.session import cut_lineage
 
 
-def frontier_cost(edges: DataFrame, kind: str, hops: int | None) -> DataFrame:
-    """``unit_id, cost``: an upper bound of the pairs that a search over ``kind`` may form, from the edges alone.
-
-    A unit with E edges forms at most E * min(hops, E) of them. The budget counts rows, not seconds, so that
-    a run decides alike on any machine.
-    """
-    n = edges.where(F.col("kind") == kind).groupBy("unit_id").agg(F.count("*").alias("n"))
-    return n.select("unit_id", (F.col("n") * (F.least(F.col("n"), F.lit(hops)) if hops else F.col("n"))).alias("cost"))
-
-
-def two_phase(nodes: DataFrame, edges: DataFrame, rules: list[Rule], kind: str, budget: int, hop_schedule: tuple[int, ...] = (16, 8, 4, 2)) -> tuple[DataFrame, DataFrame]:
+def two_phase(nodes: DataFrame, edges: DataFrame, rules: list[Rule], kind: str, sources: DataFrame, budget: int, hop_schedule: tuple[int, ...] = (16, 8, 4, 2)) -> tuple[DataFrame, DataFrame]:
     """Findings (with ``phase``), and ``unit_id, phase, status`` with status ok or budget_exceeded.
 
-    Phase 0 searches whole units whose cost is within the budget. The others are searched with each limit of
-    the schedule in turn, once their cost under it fits; mitigations are never cut. An empty schedule leaves
-    them unresolved.
+    A unit's cost is what a search from ``sources`` (``unit_id, node_id``) over ``kind`` is seen to form: pairs of
+    nodes, not seconds, so that a run decides alike on any machine. Phase 0 searches whole units whose cost is
+    within the budget. The others are searched with each limit of the schedule in turn, once the pairs up to
+    that limit fit; mitigations are never cut. An empty schedule leaves them unresolved.
     """
     units = nodes.select("unit_id").distinct()
+    formed = closure.formed(edges, kind, sources, budget)
     pending = cut_lineage(units)
     findings, status = None, None
     for phase, hops in enumerate((None, *hop_schedule)):
-        cost = frontier_cost(edges, kind, hops)
+        cost = (formed if hops is None else formed.where(F.col("hops") <= hops)).groupBy("unit_id").agg(F.max("pairs").alias("cost"))
         fits = cut_lineage(pending.join(cost, "unit_id", "left").where(F.coalesce("cost", F.lit(0)) <= budget).select("unit_id"))
         if fits.isEmpty():
             continue

@@ -34,12 +34,18 @@ def _range_of(counts: DataFrame, column: str):
     return F.size(F.filter(F.array(*(F.lit(float(c)) for c in cuts)), lambda c: c <= F.col(column))) if cuts else F.lit(0)
 
 
+def correlation(x: str, y: str):
+    """Pearson's coefficient as an aggregate; NaN where a column is constant or there is one pair."""
+    return F.coalesce(F.try_divide(F.covar_pop(x, y), F.stddev_pop(x) * F.stddev_pop(y)), F.lit(float("nan")))
+
+
 def spearman(df: DataFrame, x: str, y: str, by: list[str]) -> DataFrame:
-    """``by, n, rho``; pairs with a null are left out."""
+    """``by, n, rho``; pairs with a null are left out, rho is NaN where a column is constant."""
     clean = df.where(F.col(x).isNotNull() & F.col(y).isNotNull()).select(*by, x, y)
     ranked = average_ranks(average_ranks(clean, x, by, "_rx"), y, by, "_ry")
-    return ranked.groupBy(*by).agg(F.count("*").alias("n"), F.corr("_rx", "_ry").alias("rho"))
+    return ranked.groupBy(*by).agg(F.count("*").alias("n"), correlation("_rx", "_ry").alias("rho"))
 
 
 def pearson(df: DataFrame, x: str, y: str, by: list[str]) -> DataFrame:
-    return df.groupBy(*by).agg(F.count("*").alias("n"), F.corr(x, y).alias("r"))
+    """``by, n, r``; r is NaN where a column is constant."""
+    return df.groupBy(*by).agg(F.count("*").alias("n"), correlation(x, y).alias("r"))

@@ -155,7 +155,7 @@ BUDGET, SCHEDULE = 40, (16, 8, 4, 2)
 
 def w22(spark, sf):
     nodes, edges = event_graph(spark, sf)
-    findings, status = validate.two_phase(nodes, edges, [EVENT_RULE], "DFG", BUDGET, SCHEDULE)
+    findings, status = validate.two_phase(nodes, edges, [EVENT_RULE], "DFG", _typed(nodes, "signup"), BUDGET, SCHEDULE)
     n = findings.groupBy("unit_id").agg(F.count("*").alias("findings"))
     return status.join(n, "unit_id", "left").select(F.col("unit_id").alias("user_id"), F.col("phase").cast("long").alias("phase"), "status", F.coalesce("findings", F.lit(0)).alias("findings"))
 
@@ -226,5 +226,10 @@ SELECT * FROM g UNION ALL SELECT 'total', sum(posts)::BIGINT, sum(snippets)::BIG
     "W19_pearson": "SELECT count(*) AS n, round(corr(x, y), 6) AS r FROM (SELECT count(*)::DOUBLE AS x, sum(o_totalprice) AS y FROM orders GROUP BY o_custkey)",
     "W20_event_flow_rule": f"WITH RECURSIVE {_RULE} SELECT unit_id AS user_id, src, dst, 'signup' AS src_type, 'purchase' AS dst_type FROM f",
     "W21_reach_bounded": f"WITH RECURSIVE {_EV}, r(unit_id, src, dst, hops) AS (SELECT d.unit_id, d.src, d.dst, 1 FROM eog d JOIN e ON e.node_id = d.src WHERE event_type = 'signup' UNION ALL SELECT r.unit_id, r.src, d.dst, hops + 1 FROM r JOIN eog d ON d.src = r.dst WHERE hops < 8) SELECT max_hops, (SELECT count(*) FROM r WHERE hops <= max_hops) AS pairs FROM (SELECT unnest([1, 2, 4, 8])::BIGINT AS max_hops)",
+    "W22_two_phase": f"""WITH RECURSIVE {_RULE}, p(phase, h) AS (VALUES (0, 1000000), {', '.join(f'({i}, {h})' for i, h in enumerate(SCHEDULE, 1))}),
+t AS (SELECT unit_id, src, dst, min(hops) AS hops FROM r GROUP BY ALL), u AS (SELECT DISTINCT unit_id FROM e),
+c AS (SELECT u.unit_id, phase, h, count(t.src) AS cost FROM u CROSS JOIN p LEFT JOIN t ON t.unit_id = u.unit_id AND t.hops <= h GROUP BY ALL),
+w AS (SELECT unit_id, min(phase) AS phase, max(h) AS h FROM c WHERE cost <= {BUDGET} GROUP BY ALL)
+SELECT u.unit_id AS user_id, w.phase::BIGINT AS phase, CASE WHEN w.phase IS NULL THEN 'budget_exceeded' ELSE 'ok' END AS status, (SELECT count(*) FROM f JOIN t USING (unit_id, src, dst) WHERE f.unit_id = u.unit_id AND t.hops <= w.h) AS findings FROM u LEFT JOIN w USING (unit_id)""",
     "W23_star_graph": "SELECT c_custkey AS custkey, s_suppkey AS suppkey, count(*) AS paths FROM customer JOIN orders ON o_custkey = c_custkey JOIN lineitem ON l_orderkey = o_orderkey JOIN supplier ON s_suppkey = l_suppkey AND s_nationkey = c_nationkey GROUP BY ALL HAVING NOT bool_or(l_returnflag = 'R')",
 }

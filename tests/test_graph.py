@@ -2,7 +2,7 @@ import random
 
 import pytest
 from codeprov.corpus import templates as T
-from codeprov.graph import closure, local, model, rules
+from codeprov.graph import closure, local, model, pattern, validate
 from codeprov.graph.passes import build
 from codeprov.lang import frontend, parse
 from codeprov.lang.frontend import graph_of
@@ -85,6 +85,21 @@ def test_budget_and_schedule():
     assert status == "ok" and phase > 0
 
 
+def test_phases_follow_what_a_search_forms(spark):
+    """A chain of n edges from one source forms min(n, hops) pairs."""
+    chains = {1: 3, 2: 6, 3: 40}
+    edges = spark.createDataFrame([(u, i, i + 1, "DFG") for u, n in chains.items() for i in range(n)], "unit_id long, src long, dst long, kind string")
+    nodes = spark.createDataFrame([(u, i) for u, n in chains.items() for i in range(n + 1)], "unit_id long, node_id long")
+    starts = spark.createDataFrame([(u, 0) for u in chains], "unit_id long, node_id long")
+    formed = {(r.unit_id, r.hops): r.pairs for r in closure.formed(edges, "DFG", starts, 5).collect()}
+    assert formed[1, 3] == 3 and formed[2, 6] == 6 and formed[3, 6] == 6 and (3, 7) not in formed
+    rule = pattern.Rule("X", "x", lambda n, e, hops: closure.reach(e, "DFG", starts, hops).select("unit_id", "src", "dst"), ("src", "dst"))
+    found, status = validate.two_phase(nodes, edges, [rule], "DFG", starts, 5, (4, 2))
+    assert {r.unit_id: (r.phase, r.status) for r in status.collect()} == {1: (0, "ok"), 2: (1, "ok"), 3: (1, "ok")}
+    assert {r.unit_id: r["count"] for r in found.groupBy("unit_id").count().collect()} == {1: 3, 2: 4, 3: 4}
+    assert {r.status for r in validate.two_phase(nodes, edges, [rule], "DFG", starts, 1, ())[1].collect()} == {"budget_exceeded"}
+
+
 def test_closure_against_enumeration(spark):
     rng = random.Random(4)
     edges = sorted({(1, rng.randrange(8), rng.randrange(8), "EOG") for _ in range(14)})
