@@ -2,7 +2,7 @@ import random
 
 import pytest
 from codeprov.corpus import templates as T
-from codeprov.graph import closure, local, model, pattern, validate
+from codeprov.graph import closure, local, model, pattern, rules, validate
 from codeprov.graph.passes import build
 from codeprov.lang import frontend, parse
 from codeprov.lang.frontend import graph_of
