@@ -6,13 +6,17 @@ import os
 import tempfile
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text that an Arrow worker handles at once.
 SLICE_BYTES = 4 << 20
+#: Rows of one gathered table.
+MOST_ROWS = 200_000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -46,6 +50,33 @@ def slices(batches: Iterator[pa.RecordBatch], column: str = "text", most: int =
         yield batch.slice(start)
 
 
+def gathered(batches: Iterator[pa.RecordBatch], most: int, column: str = "text") -> Iterator[tuple[int, pa.Table]]:
+    """The rows of a task in tables of about ``most`` bytes of ``column`` each, with numbers that no other table of the job has."""
+    number = TaskContext.get().partitionId() << 32
+    held, size = [], 0
+    for b in slices(batches, column, most):
+        held.append(b)
+        size += pc.sum(pc.binary_length(b.column(column))).as_py() or 0
+        if size >= most or sum(x.num_rows for x in held) >= MOST_ROWS:
+            yield number, pa.Table.from_batches(held)
+            held, size, number = [], 0, number + 1
+    if held:
+        yield number, pa.Table.from_batches(held)
+
+
+def runs(sorted_: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Start and end of each run of equal values."""
+    if not len(sorted_):
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    at = np.flatnonzero(np.concatenate([[True], sorted_[1:] != sorted_[:-1]]))
+    return at, np.append(at[1:], len(sorted_))
+
+
+def shard_of(keys: np.ndarray, shards: int) -> np.ndarray:
+    """The range of a 64-bit hash by its top 32 bits; monotone in the hash."""
+    return ((keys >> np.uint64(32)) * np.uint64(shards) >> np.uint64(32)).astype(np.int64)
+
+
 _resident: dict = {}
 
 

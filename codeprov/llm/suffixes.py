@@ -2,18 +2,22 @@
 
 Only suffixes that start at content-selected positions are kept: the word k-gram with the least hash in
 each window of w consecutive k-grams (a minimiser), so that any passage of k + w - 1 words has a kept
-suffix inside, at the same place wherever the passage occurs. Each batch of documents sorts its kept
-suffixes by their first k words and compares neighbours; the sorted distinct ones, with the number of
-documents, are merged with those of other batches by key range. Suffixes that meet another are extended
-to the left and right to every passage of k + w - 1 words whose minimiser they are, and these are merged
-in the same way. What is left is exact: a word is marked if and only if it lies in a passage of
-``words`` words that two documents (or, if asked, two places) have in common.
+suffix inside, at the same place wherever the passage occurs. Documents stay where they lie, in batches.
+
+First the batches ask, by key range, which first k-grams of kept suffixes occur again; only such suffixes
+travel, once for each batch and context, as the words themselves. A range sorts its suffixes by their
+words, compares neighbours for the length that they have in common, does the same with the words to the
+left, read backwards, and from both lengths extends each match to every passage around the kept position.
+Words decide there, so a meeting of hashes costs time and changes nothing: a word is marked if and only
+if it lies in a passage of ``words`` words that two rows (or, if asked, two places) have in common.
 """
 
 from __future__ import annotations
 
 import re
+from collections import defaultdict
 from collections.abc import Iterator
+from itertools import chain, count
 
 import numpy as np
 import pyarrow as pa
@@ -22,12 +26,14 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codeprov.llm.common import cut_lineage, parts_for
+from codeprov.llm.common import cut_lineage, gathered, parts_for, runs, shard_of
 
 WORDS = 50
-#: Words of a kept suffix that are compared at first.
-GRAM = 34
+#: Words by whose hash suffixes are selected and first asked for.
+GRAM = 16
 BATCH_BYTES, SHARD_BYTES = 8 << 20, 16 << 20
+#: A gram in more documents than this (by batch, 255 at most counted in each) has its passages dealt one by one.
+HOT = 50_000
 
 _U = np.uint64
 _BASE = _U(0x9E3779B97F4A7C15)
@@ -79,116 +85,247 @@ def least_of(values: np.ndarray, w: int) -> np.ndarray:
     return best[:n]
 
 
-class Batch:
-    """The texts of a batch as word hashes; ``owner`` is the row of each word."""
-
-    def __init__(self, texts: list[str], words: int, gram: int) -> None:
-        ids: dict[str, int] = {}
-        rows = [[ids.setdefault(x, len(ids)) for x in _word.findall(t)] for t in texts]
-        digest = xxhash.xxh3_64_intdigest
-        table = np.array([digest(x.encode("utf-8", "surrogatepass")) for x in ids] or [0], dtype=np.uint64)
-        self.words, self.gram, self.window = words, gram, words - gram + 1
-        self.counts = np.array([len(r) for r in rows], dtype=np.int64)
-        anchors, keys, owners = [], [], []
-        self.hashes = []
-        for i, r in enumerate(rows):
-            h = table[np.array(r, dtype=np.int64)] if r else np.zeros(0, np.uint64)
-            self.hashes.append(h)
-            if len(h) < words:
-                continue
-            g = grams(h, gram)
-            least = least_of(g, self.window)
-            anchors.append(least)
-            keys.append(g[least])
-            owners.append(np.full(len(least), i))
-        join = lambda x, t: np.concatenate(x) if x else np.zeros(0, t)
-        #: For each passage of ``words`` words: its row, its start in the row and the key of its minimiser.
-        self.owner, self.keys = join(owners, np.int64), join(keys, np.uint64)
-        self.starts = join([np.arange(len(a)) for a in anchors], np.int64)
-        self.passages_from = np.cumsum([0, *(max(0, n - words + 1) for n in self.counts)])
-
-    def distinct(self, keys: np.ndarray, owner: np.ndarray, across: bool, place: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
-        """Sorted keys and the number of documents (or places) that have each: sorted neighbours are compared."""
-        if not len(keys):
-            return np.zeros(0, np.uint64), np.zeros(0, np.int64)
-        second = owner if across else (place if place is not None else np.arange(len(keys)))
-        order = np.lexsort((second, keys))
-        k, o = keys[order], second[order]
-        new_key = np.ones(len(k), dtype=bool)
-        new_key[1:] = k[1:] != k[:-1]
-        new_pair = new_key.copy()
-        new_pair[1:] |= o[1:] != o[:-1]
-        found = np.flatnonzero(new_key)
-        return k[found], np.add.reduceat(new_pair.astype(np.int64), found)
-
-    def suffixes(self, across: bool) -> tuple[np.ndarray, np.ndarray]:
-        """Kept suffixes by their first words."""
-        at = np.ones(len(self.keys), dtype=bool)
-        at[1:] = (self.keys[1:] != self.keys[:-1]) | (self.owner[1:] != self.owner[:-1])
-        keep = np.flatnonzero(at) if across else np.arange(len(self.keys))
-        return self.distinct(self.keys[keep], self.owner[keep], across)
-
-    def extended(self, met: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Numbers and hashes of the passages around suffixes that met another (``met``: one flag for each passage)."""
-        numbers = np.flatnonzero(met)
-        out = np.zeros(len(numbers), dtype=np.uint64)
-        rows = self.owner[numbers]
-        for i in np.unique(rows):
-            here = np.flatnonzero(rows == i) if len(numbers) < 64 else slice(*np.searchsorted(rows, [i, i + 1]))
-            out[here] = grams(self.hashes[i], self.words)[self.starts[numbers[here]]]
-        return numbers, out
-
-
-def deal(docs: DataFrame, batches: int) -> DataFrame:
-    """Documents dealt to batches by a hash; texts are compressed for the shuffle."""
-    src = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    src = src.withColumn("batch", F.pmod(F.xxhash64("doc_id", "text"), F.lit(batches)).cast("int"))
+def _split(text: str) -> list[bytes]:
+    return text.encode("utf-8", "surrogatepass").split()
+
+
+def word_hashes(words: list[bytes]) -> np.ndarray:
+    """A 64-bit hash of each word."""
+    digest = xxhash.xxh3_64_intdigest
+    return np.array([digest(w) for w in words] or [0], dtype=np.uint64)
+
+
+#: A kept suffix: row and place (in words of the batch), the least and greatest number of words by which a passage begins before it.
+_KEPT = np.dtype([("key", "<u8"), ("at", "<i8"), ("row", "<i4"), ("least", "u1"), ("most", "u1")])
+
+
+def kept_suffixes(texts: list[str], words: int, gram: int) -> tuple[np.ndarray, np.ndarray]:
+    """Number of words of each text, and the kept suffixes of all texts in order."""
+    ids: defaultdict = defaultdict(count().__next__)
+    rows = [list(map(ids.__getitem__, _split(t))) for t in texts]
+    counts = np.array([len(r) for r in rows], dtype=np.int64)
+    n = int(counts.sum())
+    if n < words:
+        return counts, np.zeros(0, _KEPT)
+    h = word_hashes(list(ids))[np.fromiter(chain.from_iterable(rows), np.int64, n)]
+    key = grams(h, gram)
+    place = least_of(key, words - gram + 1)
+    ends = np.cumsum(counts)
+    owner = np.repeat(np.arange(len(counts)), counts)[: len(place)]
+    starts = np.flatnonzero(np.arange(len(place)) + words <= ends[owner])
+    if not len(starts):
+        return counts, np.zeros(0, _KEPT)
+    at, row = place[starts], owner[starts]
+    first, after = runs(at)
+    out = np.zeros(len(first), _KEPT)
+    out["at"], out["row"], out["key"] = at[first], row[first], key[at[first]]
+    out["most"], out["least"] = at[first] - starts[first], at[first] - starts[after - 1]
+    return counts, out
+
+
+def _cut(batch: int, keys: np.ndarray, shards: int, parts) -> list[dict]:
+    """One message for each range that sorted keys fall in; ``parts(a, b)`` gives the columns of keys a to b."""
+    return [{"shard": int(shard_of(keys[a : a + 1], shards)[0]), "batch": batch, **parts(a, b)} for a, b in zip(*runs(shard_of(keys, shards)), strict=True)]
+
+
+_BATCH = "batch long, doc_ids array<long>, counts binary, kept binary, sizes binary, texts binary"
+_ASKED = pa.schema([("shard", pa.int32()), ("batch", pa.int64()), ("keys", pa.binary()), ("counts", pa.binary())])
+_FLAGS = pa.schema([("shard", pa.int32()), ("batch", pa.int64()), ("keys", pa.binary()), ("flags", pa.binary())])
+_SENT = pa.schema([("shard", pa.int32()), ("batch", pa.int64()), ("keys", pa.binary()), ("left", pa.binary()), ("rows", pa.binary()), ("many", pa.binary()), ("uses", pa.binary()), ("places", pa.binary()), ("texts", pa.binary())])
+_FOUND = pa.schema([("batch", pa.int64()), ("places", pa.binary()), ("masks", pa.binary())])
+
+
+def _pack(raw: bytes) -> bytes:
+    return zstandard.compress(raw, 3)
+
+
+def _unpack(packed: bytes) -> bytes:
+    return zstandard.decompress(packed)
+
+
+def _ddl(schema: pa.Schema) -> str:
+    kinds = {pa.int32(): "int", pa.int64(): "long", pa.binary(): "binary"}
+    return ", ".join(f"{f.name} {kinds[f.type]}" for f in schema)
+
+
+def batch_rows(docs: DataFrame, words: int, gram: int, batch_bytes: int) -> DataFrame:
+    """One row for each batch of documents: ids, numbers of words, kept suffixes and compressed texts."""
 
     def work(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pack = zstandard.ZstdCompressor(level=3).compress
-        for b in it:
-            packed = pa.array([pack(t.as_buffer()) for t in b.column("text").cast(pa.binary())], pa.binary())
-            yield pa.RecordBatch.from_arrays([b.column("batch"), b.column("doc_id"), packed], names=["batch", "doc_id", "packed"])
+        for number, t in gathered(it, batch_bytes):
+            texts = t.column("text").to_pylist()
+            counts, kept = kept_suffixes(texts, words, gram)
+            raw = [x.encode("utf-8", "surrogatepass") for x in texts]
+            columns = [[number], [t.column("doc_id").to_pylist()], [counts.astype("<i8").tobytes()], [_pack(kept.tobytes())], [np.array([len(r) for r in raw], "<i8").tobytes()], [_pack(b"".join(raw))]]
+            kinds = [pa.int64(), pa.list_(pa.int64()), *[pa.binary()] * 4]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["batch", "doc_ids", "counts", "kept", "sizes", "texts"])
 
-    return src.mapInArrow(work, "batch int, doc_id long, packed binary")
+    return cut_lineage(docs.mapInArrow(work, _BATCH))
 
 
-def _texts(column) -> list[str]:
-    unpack = zstandard.ZstdDecompressor().decompress
-    return [unpack(x).decode("utf-8", "surrogatepass") for x in column.to_pylist()]
+class _Texts:
+    """Texts of a batch row, decoded when asked for."""
 
+    def __init__(self, sizes: bytes, texts: bytes) -> None:
+        self.ends = np.cumsum(np.frombuffer(sizes, "<i8"))
+        self.raw = _unpack(texts)
 
-_ASKED = pa.schema([("shard", pa.int32()), ("batch", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())])
-_SERVED = pa.schema([("shard", pa.int32()), ("batch", pa.int32()), ("flags", pa.binary())])
+    def __getitem__(self, i: int) -> bytes:
+        return self.raw[self.ends[i - 1] if i else 0 : self.ends[i]]
 
 
-def _questions(batch: int, keys: np.ndarray, counts: np.ndarray, shards: int) -> pa.Table:
-    edges = np.array([(i << 64) // shards for i in range(1, shards)], dtype=np.uint64)
-    cut = np.concatenate([[0], np.searchsorted(keys, edges), [len(keys)]])
-    rows = [{"shard": s, "batch": batch, "keys": keys[a:b].astype("<u8").tobytes(), "counts": np.minimum(counts[a:b], 2).astype(np.uint8).tobytes()} for s, (a, b) in enumerate(zip(cut[:-1], cut[1:], strict=True)) if a < b]
-    return pa.Table.from_pylist(rows, schema=_ASKED)
+def _ask(batch: int, kept: np.ndarray, across: bool, shards: int) -> list[dict]:
+    """The distinct first grams of kept suffixes, and in how many rows (or places, up to 255) they are."""
+    order = np.lexsort((kept["row"], kept["key"]))
+    k, r = kept["key"][order], kept["row"][order]
+    a, b = runs(k)
+    if across:
+        new = np.concatenate([[True], (k[1:] != k[:-1]) | (r[1:] != r[:-1])]) if len(k) else np.zeros(0, bool)
+        numbers = np.add.reduceat(new.astype(np.int64), a) if len(a) else a
+    else:
+        numbers = b - a
+    keys, numbers = k[a], np.minimum(numbers, 255).astype(np.uint8)
+    return _cut(batch, keys, shards, lambda x, y: {"keys": keys[x:y].astype("<u8").tobytes(), "counts": numbers[x:y].tobytes()})
 
 
-def _serve(key, group):
-    """Merges the sorted keys of all batches: which occur twice or more."""
+def _tell(key, group, hot: int):
+    """Merges the sorted keys of all batches: 0 once, 1 again, 2 in more than ``hot`` rows."""
     rows = group.to_pylist()
     keys = [np.frombuffer(r["keys"], "<u8") for r in rows]
-    counts = np.concatenate([np.frombuffer(r["counts"], np.uint8) for r in rows])
     every, inverse = np.unique(np.concatenate(keys), return_inverse=True)
-    twice = np.bincount(inverse, weights=counts, minlength=len(every)) >= 2
-    out = [{"shard": r["shard"], "batch": r["batch"], "flags": np.packbits(twice[np.searchsorted(every, k)]).tobytes()} for r, k in zip(rows, keys, strict=True)]
-    return pa.Table.from_pylist(out, schema=_SERVED)
-
-
-def _flags(answers: list[dict], keys: np.ndarray, shards: int) -> np.ndarray:
-    """One flag for each of the sorted keys that were asked for."""
-    edges = np.array([(i << 64) // shards for i in range(1, shards)], dtype=np.uint64)
-    cut = np.concatenate([[0], np.searchsorted(keys, edges), [len(keys)]])
-    out = np.zeros(len(keys), dtype=bool)
-    for r in answers:
-        a, b = cut[r["shard"]], cut[r["shard"] + 1]
-        out[a:b] = np.unpackbits(np.frombuffer(r["flags"], np.uint8), count=b - a).astype(bool)
-    return out
+    total = np.bincount(inverse, weights=np.concatenate([np.frombuffer(r["counts"], np.uint8) for r in rows]), minlength=len(every))
+    flags = (total >= 2).astype(np.uint8) + (total > hot)
+    out = []
+    for r, k in zip(rows, keys, strict=True):
+        f = flags[np.searchsorted(every, k)]
+        again = f > 0
+        if again.any():
+            out.append({"shard": r["shard"], "batch": r["batch"], "keys": k[again].astype("<u8").tobytes(), "flags": f[again].tobytes()})
+    return pa.Table.from_pylist(out, schema=_FLAGS)
+
+
+def _send(batch: int, kept: np.ndarray, counts: np.ndarray, texts: _Texts, answers: list[dict], words: int, shards: int, across: bool) -> list[dict]:
+    """Suffixes whose first gram occurs again, with the words to the left that their passages need; equal ones once."""
+    asked = [np.frombuffer(r["keys"], "<u8") for r in answers]
+    if not asked or not len(kept):
+        return []
+    keys = np.concatenate(asked)
+    order = np.argsort(keys)
+    keys, flags = keys[order], np.concatenate([np.frombuffer(r["flags"], np.uint8) for r in answers])[order]
+    place = np.minimum(np.searchsorted(keys, kept["key"]), len(keys) - 1)
+    flag = np.where(keys[place] == kept["key"], flags[place], 0)
+    begins = np.cumsum(counts) - counts
+    found: dict[tuple, list] = {}
+    row, split = -1, []
+    for i in np.flatnonzero(flag):
+        key, at, r, least, most = kept[i].item()
+        if r != row:
+            row, split = r, texts[r].split()
+        at -= int(begins[r])
+        if flag[i] == 2:
+            pieces = [(xxhash.xxh3_64_intdigest(b" ".join(split[at - o : at - o + words]), key & 0xFFFFFFFF ^ o), o, o) for o in range(least, most + 1)]
+        else:
+            pieces = [(key, least, most)]
+        for key, low, high in pieces:
+            held = found.setdefault((key, high, b" ".join(split[at - high : at - low + words])), [r, False, []])
+            held[1] = held[1] or held[0] != r or not across and len(held[2]) > 0
+            held[2].append(int(i))
+    rows = sorted(found.items())
+    keys = np.array([k for (k, _, _), _ in rows], dtype=np.uint64)
+
+    def parts(a: int, b: int) -> dict:
+        own = rows[a:b]
+        return {
+            "keys": keys[a:b].astype("<u8").tobytes(),
+            "left": bytes(k[1] for k, _ in own),
+            "rows": np.array([v[0] for _, v in own], "<u4").tobytes(),
+            "many": bytes(v[1] for _, v in own),
+            "uses": np.array([len(v[2]) for _, v in own], "<u4").tobytes(),
+            "places": np.array([i for _, v in own for i in v[2]], "<u4").tobytes(),
+            "texts": _pack(b"\n".join(k[2] for k, _ in own)),
+        }
+
+    return _cut(batch, keys, shards, parts)
+
+
+def common_lengths(keys: np.ndarray, rows: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Suffixes in the order of key and words, and how many words each has in common with the one before (-1: other key).
+
+    ``rows`` holds word numbers from 0, -1 beyond each row's length.
+    """
+    n, width = rows.shape
+    raw = np.zeros((n, 8 + 4 * width), dtype=np.uint8)
+    raw[:, :8] = keys.astype(">u8").view(np.uint8).reshape(n, 8)
+    raw[:, 8:] = np.ascontiguousarray((rows + 1).astype(">u4")).view(np.uint8).reshape(n, 4 * width)
+    order = np.argsort(raw.view(f"S{raw.shape[1]}").ravel(), kind="stable")
+    k, r, size = keys[order], rows[order], lengths[order]
+    out = np.full(n, -1, dtype=np.int64)
+    if n > 1:
+        differ = np.concatenate([r[1:] != r[:-1], np.ones((n - 1, 1), dtype=bool)], axis=1)
+        out[1:] = np.where(k[1:] == k[:-1], np.minimum(differ.argmax(axis=1), np.minimum(size[1:], size[:-1])), -1)
+    return order, out
+
+
+def passages(keys: np.ndarray, left: np.ndarray, owner: np.ndarray, many: np.ndarray, split: list[list[bytes]] | tuple[np.ndarray, np.ndarray], words: int, across: bool) -> np.ndarray:
+    """For each suffix the passages around it that occur again: bit o, if the one that begins o words before does.
+
+    ``left`` words of each context stand before the kept position; ``owner`` is its row, ``many`` says that
+    other rows (or places) have the same context. The context's length tells which passages it holds.
+    """
+    if isinstance(split, list):
+        ids: defaultdict = defaultdict(count().__next__)
+        sizes = np.array([len(x) for x in split], dtype=np.int64)
+        flat = np.fromiter(map(ids.__getitem__, chain.from_iterable(split)), np.int64, int(sizes.sum()))
+    else:
+        flat, sizes = split
+    n, begins = len(keys), np.cumsum(sizes) - sizes
+    right = sizes - left
+
+    def matrix(lengths: np.ndarray, start: np.ndarray, step: int) -> np.ndarray:
+        j = np.arange(max(1, int(lengths.max())))
+        inside = j[None, :] < lengths[:, None]
+        return np.where(inside, flat[np.where(inside, start[:, None] + step * j[None, :], 0)], -1).astype(np.int32)
+
+    order_r, common_r = common_lengths(keys, matrix(right, begins + left, 1), right)
+    order_l, common_l = common_lengths(keys, matrix(left, begins + left - 1, -1), left)
+    masks = np.zeros(n, dtype=np.uint64)
+    for o in range(int((words - right).min()), int(left.max()) + 1):
+        fits = (left >= o) & (right >= words - o)
+        if not fits.any():
+            continue
+        right_group, left_group = np.empty(n, np.int64), np.empty(n, np.int64)
+        right_group[order_r] = np.cumsum(common_r < words - o)
+        left_group[order_l] = np.cumsum(common_l < o)
+        at = np.flatnonzero(fits)
+        group = right_group[at] * (n + 1) + left_group[at]
+        order = np.argsort(group, kind="stable")
+        a, b = runs(group[order])
+        rows, twice = owner[at][order], many[at][order].astype(bool)
+        hit = np.logical_or.reduceat(twice, a) | (np.minimum.reduceat(rows, a) != np.maximum.reduceat(rows, a) if across else b - a > 1)
+        masks[at[order[np.repeat(hit, b - a)]]] |= _U(1 << o)
+    return masks
+
+
+def _extend(key, group, words: int, across: bool):
+    """Sorts the suffixes of a key range, compares neighbours, extends; answers each batch by its kept suffixes."""
+    messages = group.to_pylist()
+    ids: defaultdict = defaultdict(count().__next__)
+    flat, sizes, owners = [], [], []
+    for m, r in enumerate(messages):
+        split = [x.split() for x in _unpack(r["texts"]).split(b"\n")]
+        sizes.append(np.array([len(x) for x in split], dtype=np.int64))
+        flat.append(np.fromiter(map(ids.__getitem__, chain.from_iterable(split)), np.int64, int(sizes[-1].sum())))
+        owners.append(np.frombuffer(r["rows"], "<u4").astype(np.int64) | m << 32)
+    joined = lambda c, t: np.concatenate([np.frombuffer(r[c], t) for r in messages])
+    masks = passages(joined("keys", "<u8"), joined("left", np.uint8).astype(np.int64), np.concatenate(owners), joined("many", np.uint8), (np.concatenate(flat), np.concatenate(sizes)), words, across)
+    out, at = [], 0
+    for r, size in zip(messages, sizes, strict=True):
+        every = np.repeat(masks[at : at + len(size)], np.frombuffer(r["uses"], "<u4"))
+        at += len(size)
+        hit = every > 0
+        if hit.any():
+            out.append({"batch": r["batch"], "places": np.frombuffer(r["places"], "<u4")[hit].tobytes(), "masks": every[hit].astype("<u8").tobytes()})
+    return pa.Table.from_pylist(out, schema=_FOUND)
 
 
 def _marked(n: int, starts: np.ndarray, words: int) -> list[tuple[int, int]]:
@@ -201,58 +338,58 @@ def _marked(n: int, starts: np.ndarray, words: int) -> list[tuple[int, int]]:
     return list(zip(a.tolist(), b.tolist(), strict=True))
 
 
-def repeated_passages(docs: DataFrame, words: int = WORDS, gram: int = GRAM, across: bool = True, batch_bytes: int = BATCH_BYTES, shard_bytes: int = SHARD_BYTES) -> DataFrame:
+def repeated_passages(docs: DataFrame, words: int = WORDS, gram: int = GRAM, across: bool = True, batch_bytes: int = BATCH_BYTES, shard_bytes: int = SHARD_BYTES, hot: int = HOT) -> DataFrame:
     """For every row: doc_id, n_words, n_repeated, n_spans, and spans (array of word and code point bounds, end exclusive).
 
     ``across``: a passage counts if two rows have it; otherwise also if one row has it twice. Repeated rows
-    are two rows. A null, empty or short text has no passage. Words are compared as they are, by 64-bit
-    hashes. An empty table gives an empty result; extra columns are ignored.
+    are two rows. A null, empty or short text has no passage, very long texts are read whole. Words are compared
+    as they are. A gram in more than ``hot`` rows has each passage around it sent under the passage's own hash,
+    so that no range gets all its contexts. An empty table gives an empty result; extra columns are ignored.
     """
-    if not 1 <= gram <= words:
-        raise ValueError("a kept suffix must fit the passage")
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    batches, shards = parts_for(docs, "text", batch_bytes), parts_for(docs, "text", shard_bytes)
-
-    def first(key, group):
-        b = Batch(_texts(group.column("packed")), words, gram)
-        return _questions(key[0].as_py(), *b.suffixes(across), shards)
-
-    def met(b: Batch, answers: list[dict]) -> np.ndarray:
-        keys, _ = b.suffixes(across)
-        flags = _flags(answers, keys, shards)
-        return flags[np.searchsorted(keys, b.keys)] if len(keys) else np.zeros(0, bool)
-
-    def second(group, answers):
-        if not group.num_rows:
-            return pa.Table.from_pylist([], schema=_ASKED)
-        b = Batch(_texts(group.column("packed")), words, gram)
-        numbers, hashes = b.extended(met(b, answers.to_pylist()))
-        return _questions(group.column("batch")[0].as_py(), *b.distinct(hashes, b.owner[numbers], across), shards)
+    if not 1 <= gram <= words or words - gram >= 64:
+        raise ValueError("a kept suffix must fit the passage, and begin at most 63 words after it")
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    shards = parts_for(docs, "text", shard_bytes)
+    held = batch_rows(docs, words, gram, batch_bytes)
+    suffixes = lambda blob: np.frombuffer(_unpack(blob), _KEPT)
+
+    def ask(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in it:
+            for number, kept in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                yield from pa.Table.from_pylist(_ask(number, suffixes(kept), across, shards), schema=_ASKED).to_batches()
+
+    def send(group, answers):
+        out = []
+        for r in group.to_pylist():
+            out += _send(r["batch"], suffixes(r["kept"]), np.frombuffer(r["counts"], "<i8"), _Texts(r["sizes"], r["texts"]), answers.to_pylist(), words, shards, across)
+        return pa.Table.from_pylist(out, schema=_SENT)
 
     schema = "doc_id long, n_words long, n_repeated long, n_spans long, spans array<struct<first_word: int, last_word: int, start: int, end: int>>"
     shown = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_repeated", pa.int64()), ("n_spans", pa.int64()), ("spans", pa.list_(pa.struct([("first_word", pa.int32()), ("last_word", pa.int32()), ("start", pa.int32()), ("end", pa.int32())])))])
 
     def finish(group, answers):
-        texts = _texts(group.column("packed"))
-        b = Batch(texts, words, gram)
-        rows = answers.to_pylist()
-        numbers, hashes = b.extended(met(b, [r for r in rows if r["round"] == 1]))
-        keys, _ = b.distinct(hashes, b.owner[numbers], across)
-        flags = _flags([r for r in rows if r["round"] == 2], keys, shards)
-        numbers = numbers[flags[np.searchsorted(keys, hashes)]] if len(keys) else numbers[:0]
-        owner, starts = b.owner[numbers], b.starts[numbers]
         out = []
-        for i, (doc, text) in enumerate(zip(group.column("doc_id").to_pylist(), texts, strict=True)):
-            mine = _marked(int(b.counts[i]), starts[slice(*np.searchsorted(owner, [i, i + 1]))], words)
-            bounds = [m.span() for m in _word.finditer(text)] if mine else []
-            out.append({"doc_id": doc, "n_words": int(b.counts[i]), "n_repeated": sum(e - s for s, e in mine), "n_spans": len(mine), "spans": [{"first_word": s, "last_word": e, "start": bounds[s][0], "end": bounds[e - 1][1]} for s, e in mine]})
+        for r in group.to_pylist():
+            kept, counts, texts = suffixes(r["kept"]), np.frombuffer(r["counts"], "<i8"), _Texts(r["sizes"], r["texts"])
+            masks = np.zeros(len(kept), dtype=np.uint64)
+            for x in answers.to_pylist():
+                np.bitwise_or.at(masks, np.frombuffer(x["places"], "<u4"), np.frombuffer(x["masks"], "<u8"))
+            hit = np.flatnonzero(masks)
+            bits = (masks[hit][:, None] >> np.arange(words - gram + 1, dtype=np.uint64)[None, :]) & _U(1) > 0
+            i, o = np.nonzero(bits)
+            starts = np.sort(kept["at"][hit[i]] - o)
+            begins = np.cumsum(counts) - counts
+            at = np.searchsorted(starts, np.append(begins, counts.sum()))
+            for d, doc in enumerate(r["doc_ids"]):
+                mine = _marked(int(counts[d]), starts[at[d] : at[d + 1]] - begins[d], words)
+                bounds = [m.span() for m in _word.finditer(texts[d].decode("utf-8", "surrogatepass"))] if mine else []
+                out.append({"doc_id": doc, "n_words": int(counts[d]), "n_repeated": sum(e - s for s, e in mine), "n_spans": len(mine), "spans": [{"first_word": s, "last_word": e, "start": bounds[s][0], "end": bounds[e - 1][1]} for s, e in mine]})
         return pa.Table.from_pylist(out, schema=shown)
 
-    asked, served = "shard int, batch int, keys binary, counts binary", "shard int, batch int, flags binary"
-    one = cut_lineage(deal(docs, batches).groupBy("batch").applyInArrow(first, asked).groupBy("shard").applyInArrow(_serve, served))
-    two = cut_lineage(deal(docs, batches).groupBy("batch").cogroup(one.groupBy("batch")).applyInArrow(second, asked).groupBy("shard").applyInArrow(_serve, served))
-    both = one.withColumn("round", F.lit(1)).unionByName(two.withColumn("round", F.lit(2)))
-    return deal(docs, batches).groupBy("batch").cogroup(both.groupBy("batch")).applyInArrow(finish, schema)
+    flags = held.select("batch", "kept").mapInArrow(ask, _ddl(_ASKED)).groupBy("shard").applyInArrow(lambda key, group: _tell(key, group, hot), _ddl(_FLAGS))
+    sent = held.select("batch", "counts", "kept", "sizes", "texts").groupBy("batch").cogroup(flags.groupBy("batch")).applyInArrow(send, _ddl(_SENT))
+    found = sent.groupBy("shard").applyInArrow(lambda key, group: _extend(key, group, words, across), _ddl(_FOUND))
+    return held.groupBy("batch").cogroup(found.groupBy("batch")).applyInArrow(finish, schema)
 
 
 def brute_force(rows: list[tuple], words: int = WORDS, across: bool = True) -> list[list[tuple[int, int]]]:
