@@ -1,23 +1,31 @@
 """Language-model scoring with Elias-Fano n-gram tries, split over the cluster.
 
-Tokens are words and one end of text. The model interpolates bigrams with words: p(w | u) is
-(c(u w) + mu p(w)) / (c(u) + mu), p(w) the add-one estimate, u the word before or the start of the text.
-Counts grow with the corpus and are never gathered in one place: documents form batches, each batch sends
-its distinct contexts and their successors, with counts of its training documents, to the shards that
-hold a part of the contexts; a shard adds up, builds its trie, looks up what each batch asked, and
-answers in the order of the question; the batch then scores its documents. Contexts with very many
-successors are split by the successor's hash.
-
-A trie's levels (context hashes, child pointers, successors, quantised log counts) are Elias-Fano coded
-or byte arrays in files that the shard maps into memory. A successor is stored relative to its context
-(context number and hash form one monotone sequence) and found by successor search in the context's range.
+Tokens are words and one end of text. The model discounts counts by a constant and backs off: after a context
+u, p(w | u) = max(c(u w) - D, 0) / c(u), rounded down to a step of the quantiser, plus what all these leave of
+1 times p(w | shorter u); p(w) is the add-one estimate. So the probabilities after any context sum to 1,
+rounding included. Orders from 2 on; contexts begin with as many starts of text as they need.
+
+Counts grow with the corpus and are never gathered in one place. Documents stay where they lie, in batches of
+token numbers; each batch sends its distinct contexts and their successors, with counts of its training
+documents, to the key ranges that it hits. A range adds up, builds its trie, looks up what each batch asked and
+answers; the batch then scores its documents. Contexts before a large share of all tokens are split by their
+successors; these contexts and their counts are found over all documents.
+
+A trie's levels (context hashes, child pointers, successors, quantised probabilities) are Elias-Fano coded or
+byte arrays in files that are mapped into memory. A successor is stored relative to its context (context
+number and hash form one monotone sequence) and found by successor search in the context's range. ``fit``
+returns the tries as a table that can be written, and ``score`` takes such a table.
 """
 
 from __future__ import annotations
 
+import io
 import os
 import tempfile
+from collections import defaultdict
 from collections.abc import Iterator
+from dataclasses import dataclass
+from itertools import chain, count
 
 import numpy as np
 import pyarrow as pa
@@ -26,18 +34,16 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codeprov.llm.common import cut_lineage, held_out, parts_for
+from codeprov.llm.common import cut_lineage, gathered, held_out, parts_for, runs, shard_of
 
-#: Weight of the word distribution, in tokens.
-MU = 1000.0
-#: Bytes of text in a batch, and for which there is one shard.
+#: Words of an n-gram, and what is taken off the count of one that was seen.
+ORDER, DISCOUNT = 2, 0.75
+#: Bytes of text in a batch, and for which there is one key range.
 BATCH_BYTES, SHARD_BYTES = 8 << 20, 12 << 20
-#: Contexts that precede more than this share of tokens are split; there are at most 1 / HOT of them.
-HOT, SPLITS = 1 / 500, 16
-#: Texts from which the split contexts are guessed. They only spread work: no count or score depends on them.
-HOT_TEXTS = 2000
-#: Steps of the quantised log10 counts.
-STEP = 1 / 27
+#: A context before a greater share of all tokens than a quarter of a range's, but at least this one, may be split.
+LEAST_SHARE = 1e-5
+#: Steps of the quantised log10 probabilities; 255 of them reach down to 10 ** -12.7.
+STEP = 1 / 20
 
 _U = np.uint64
 START = np.uint64(xxhash.xxh3_64_intdigest(b"start of text", 1))
@@ -152,16 +158,20 @@ class EliasFano:
         return cls(np.load(f"{place}/{name}-low.npy", mmap_mode="r"), np.load(f"{place}/{name}-high.npy", mmap_mode="r"), n, width)
 
 
-def quantise(counts: np.ndarray) -> np.ndarray:
-    """log10 of counts from 1, in steps, as bytes from 1; 0 stays for what was never seen."""
-    return np.clip(np.round(np.log10(np.maximum(counts, 1)) / STEP) + 1, 1, 255).astype(np.uint8)
+#: Probability of each code; 0 stands for what was not seen (or is less than the least step).
+VALUES = np.concatenate([[0.0], 10.0 ** (-(254 - np.arange(255)) * STEP)])
 
 
-VALUES = np.concatenate([[0.0], 10.0 ** (np.arange(255) * STEP)])
+def quantise(p: np.ndarray) -> np.ndarray:
+    """The greatest code whose probability is not above each of ``p``."""
+    return (np.searchsorted(VALUES, p * (1 + 1e-12), side="right") - 1).astype(np.uint8)
+
+
+_LEVELS = ("contexts", "pointers", "children")
 
 
 class Trie:
-    """Contexts and their successors of one shard."""
+    """Contexts of one key range and their successors."""
 
     @staticmethod
     def write(place: str, contexts: np.ndarray, counts: np.ndarray, pointers: np.ndarray, children: np.ndarray, codes: np.ndarray) -> None:
@@ -171,18 +181,19 @@ class Trie:
         number = np.repeat(np.arange(len(contexts), dtype=np.uint64), np.diff(pointers))
         EliasFano.build(number << _U(32) | children.astype(np.uint64), max(1, len(contexts)) << 32).save(place, "children")
         np.save(f"{place}/counts.npy", counts)
+        np.save(f"{place}/masses.npy", np.add.reduceat(np.append(VALUES[codes], 0.0), pointers[:-1]) * (np.diff(pointers) > 0) if len(contexts) else np.zeros(0))
         np.save(f"{place}/codes.npy", codes)
 
     def __init__(self, place: str) -> None:
-        self.contexts, self.pointers, self.children = (EliasFano.open(place, n) for n in ("contexts", "pointers", "children"))
-        self.counts, self.codes = (np.load(f"{place}/{n}.npy", mmap_mode="r") for n in ("counts", "codes"))
+        self.contexts, self.pointers, self.children = (EliasFano.open(place, n) for n in _LEVELS)
+        self.counts, self.masses, self.codes = (np.load(f"{place}/{n}.npy", mmap_mode="r") for n in ("counts", "masses", "codes"))
 
-    def look_up(self, contexts: np.ndarray, sizes: np.ndarray, children: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Counts of contexts, and codes of ``sizes`` successors of each, 0 where unknown."""
+    def look_up(self, contexts: np.ndarray, sizes: np.ndarray, children: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Counts of contexts and the probability that their successors hold, and codes of ``sizes`` successors of each."""
         at = self.contexts.find(contexts) if self.contexts.n else np.full(len(contexts), -1)
         known = at >= 0
-        counts = np.zeros(len(contexts), dtype=np.int64)
-        counts[known] = np.asarray(self.counts)[at[known]]
+        counts, masses = np.zeros(len(contexts), dtype=np.int64), np.zeros(len(contexts))
+        counts[known], masses[known] = np.asarray(self.counts)[at[known]], np.asarray(self.masses)[at[known]]
         codes = np.zeros(len(children), dtype=np.uint8)
         owner = np.repeat(at, sizes)
         ask = np.flatnonzero(owner >= 0)
@@ -191,7 +202,20 @@ class Trie:
             lo, hi = self.pointers.access(own).astype(np.int64), self.pointers.access(own + 1).astype(np.int64)
             found = self.children.find(own.astype(np.uint64) << _U(32) | children[ask].astype(np.uint64), lo, hi)
             codes[ask[found >= 0]] = np.asarray(self.codes)[found[found >= 0]]
-        return counts, codes
+        return counts, masses, codes
+
+
+def folded(place: str) -> bytes:
+    """The files of a folder in one binary."""
+    out = io.BytesIO()
+    np.savez(out, **{n: np.frombuffer(open(f"{place}/{n}", "rb").read(), np.uint8) for n in sorted(os.listdir(place))})
+    return out.getvalue()
+
+
+def unfolded(binary: bytes, place: str) -> None:
+    with np.load(io.BytesIO(binary)) as files:
+        for n in files.files:
+            files[n].tofile(f"{place}/{n}")
 
 
 def _hash_words(words: list[bytes]) -> np.ndarray:
@@ -203,73 +227,109 @@ def _child(h: np.ndarray) -> np.ndarray:
     return (h >> _U(16)).astype(np.uint32)
 
 
+def _mixed(x: np.ndarray, by: np.ndarray) -> np.ndarray:
+    x = (x ^ by * _U(0x9E3779B97F4A7C15)) * _U(0xD6E8FEB86659FD93)
+    return (x ^ (x >> _U(32))) * _U(0xC2B2AE3D27D4EB4F)
+
+
+@dataclass
+class Hot:
+    """Split contexts (sorted): parts, training tokens after each, and what probability their successors hold."""
+
+    keys: np.ndarray
+    parts: np.ndarray
+    totals: np.ndarray
+    masses: np.ndarray
+
+
+NONE_HOT = Hot(np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+
+
 class Batch:
-    """Distinct contexts and successors of some texts, in an order that does not depend on the texts' order."""
-
-    def __init__(self, texts: list[str], train: np.ndarray, hot: np.ndarray) -> None:
-        ids: dict[bytes, int] = {}
-        rows = []
-        for t in texts:
-            rows.append([ids.setdefault(w, len(ids)) for w in tokens(t)])
-        self.lengths = np.array([len(r) + 1 for r in rows], dtype=np.int64)
-        n = int(self.lengths.sum())
-        hashes = np.concatenate([_hash_words(list(ids)), np.array([END, START], dtype=np.uint64)])
-        self.keys, place = np.unique(hashes, return_inverse=True)
-        word = np.empty(n, dtype=np.int64)
-        at = 0
-        for r in rows:
-            word[at : at + len(r)] = r
-            word[at + len(r)] = len(ids)
-            at += len(r) + 1
-        self.token = place[word]
-        self.end = place[len(ids)]
-        self.start = place[len(ids) + 1]
-        before = np.empty(n, dtype=np.int64)
-        before[1:] = self.token[:-1]
-        firsts = np.concatenate([[0], np.cumsum(self.lengths)[:-1]]) if n else np.zeros(0, np.int64)
-        before[firsts] = self.start
-        self.owner = np.repeat(np.arange(len(rows)), self.lengths)
-        learns = train[self.owner] if n else np.zeros(0, bool)
-        self.before = before
-        self.key_counts = np.bincount(self.token[learns], minlength=len(self.keys)) if n else np.zeros(len(self.keys), np.int64)
-        self.key_counts[self.start] = int(train.sum())
-        # A split context stands under one more key for each part of its successors.
-        child = _child(self.keys)[self.token]
-        is_hot = np.isin(self.keys, hot)[before] if n else np.zeros(0, bool)
-        part = (child >> np.uint32(28)).astype(np.uint64) + _U(1)
-        context = self.keys[before]
-        context = np.where(is_hot, _split(context, part), context)
-        pair = np.empty(n, dtype=[("c", np.uint64), ("w", np.uint32)])
-        pair["c"], pair["w"] = context, child
-        order = np.lexsort((child, context))
-        c, w = context[order], child[order]
-        opens = np.ones(n, dtype=bool)
-        opens[1:] = (c[1:] != c[:-1]) | (w[1:] != w[:-1])
-        number = np.cumsum(opens) - 1
-        self.pair = np.empty(n, dtype=np.int64)
-        self.pair[order] = number
-        at = np.flatnonzero(opens)
-        self.pair_context, self.pair_child = c[at], w[at]
-        self.pair_counts = np.bincount(number, weights=learns[order], minlength=len(at)).astype(np.int64) if n else np.zeros(0, np.int64)
-        self.contexts = np.unique(np.concatenate([self.keys, self.pair_context]))
-        counts = np.zeros(len(self.contexts), dtype=np.int64)
-        counts[np.searchsorted(self.contexts, self.keys)] = self.key_counts
-        self.context_counts = counts
-        self.sizes = np.bincount(np.searchsorted(self.contexts, self.pair_context), minlength=len(self.contexts)).astype(np.int64)
-
-    def cuts(self, shards: int) -> tuple[np.ndarray, np.ndarray]:
-        """Bounds of each shard's contexts (by the top of their hash), and of their successors."""
-        edges = np.array([(i << 64) // shards for i in range(1, shards)], dtype=np.uint64)
-        a = np.concatenate([[0], np.searchsorted(self.contexts, edges), [len(self.contexts)]])
-        return a, np.concatenate([[0], np.cumsum(self.sizes)])[a]
-
-
-def _split(context: np.ndarray, part: np.ndarray) -> np.ndarray:
-    x = (context ^ part * _U(0x9E3779B97F4A7C15)) * _U(0xD6E8FEB86659FD93)
-    return x ^ (x >> _U(29))
-
-
-def _squeeze(a: np.ndarray, kind: str) -> bytes:
+    """Tokens of some texts: ``keys`` (sorted distinct hashes), ``token`` (a number in them for each), tokens a text."""
+
+    def __init__(self, keys: np.ndarray, token: np.ndarray, lengths: np.ndarray, train: np.ndarray, order: int) -> None:
+        self.keys, self.token, self.lengths, self.order = keys, token, lengths, order
+        self.owner = np.repeat(np.arange(len(lengths)), lengths)
+        self.learns = train[self.owner]
+        self.key_counts = np.bincount(token[self.learns], minlength=len(keys)).astype(np.int64)
+        h = keys[token]
+        place = np.arange(len(token)) - np.repeat(np.cumsum(lengths) - lengths, lengths)
+        #: The context of each token, for each order from 2 on: hashes of its words, nearest first.
+        self.contexts_of = []
+        held = None
+        for back in range(1, order):
+            word = np.full(len(h), START)
+            word[back:] = h[: len(h) - back]
+            word[place < back] = START
+            held = word if held is None else _mixed(held, word + _U(back))
+            self.contexts_of.append(held)
+
+    @classmethod
+    def of(cls, texts: list[str], train: np.ndarray, order: int) -> Batch:
+        ids: defaultdict = defaultdict(count().__next__)
+        rows = [list(map(ids.__getitem__, tokens(t))) for t in texts]
+        lengths = np.array([len(r) + 1 for r in rows], dtype=np.int64)
+        end = len(ids)
+        word = np.fromiter(chain.from_iterable(chain(r, (end,)) for r in rows), np.int64, int(lengths.sum()))
+        keys, place = np.unique(np.concatenate([_hash_words(list(ids)), np.array([END], dtype=np.uint64)]), return_inverse=True)
+        return cls(keys, place[word], lengths, train, order)
+
+    def frequent(self, share: float) -> tuple[np.ndarray, np.ndarray]:
+        """Contexts before more than ``share`` of the tokens here, and of how many."""
+        out = [np.unique(c, return_counts=True) for c in self.contexts_of]
+        keys, counts = (np.concatenate(x) for x in zip(*out, strict=True))
+        often = counts > share * len(self.token)
+        return keys[often], counts[often]
+
+    def trained(self, keys: np.ndarray) -> np.ndarray:
+        """Training tokens after each of the sorted contexts ``keys``."""
+        out = np.zeros(len(keys) + 1, dtype=np.int64)
+        for c in self.contexts_of:
+            c = c[self.learns]
+            at = np.searchsorted(keys, c)
+            at[at == len(keys)] = 0
+            out[: len(keys)] += np.bincount(at[keys[at] == c], minlength=len(keys))[: len(keys)] if len(keys) else 0
+        return out[: len(keys)]
+
+    def paired(self, hot: Hot) -> None:
+        """Distinct contexts with their distinct successors; a split context stands under one key for each part."""
+        child = _child(self.keys)
+        own = []
+        for c in self.contexts_of:
+            if len(hot.keys):
+                at = np.minimum(np.searchsorted(hot.keys, c), len(hot.keys) - 1)
+                part = (child[self.token].astype(np.uint64) * hot.parts[at].astype(np.uint64) >> _U(32)) + _U(1)
+                c = np.where(hot.keys[at] == c, _mixed(c, part << _U(20)), c)
+            own.append(c)
+        every = np.concatenate([*own, self.keys])
+        self.contexts, number = np.unique(every, return_inverse=True)
+        pair = number[: -len(self.keys)] * len(self.keys) + np.tile(self.token, len(own))
+        order = np.argsort(pair, kind="stable")
+        a, b = runs(pair[order])
+        self.pair = np.empty(len(pair), dtype=np.int64)
+        self.pair[order] = np.repeat(np.arange(len(a)), b - a)
+        self.pair_context, self.pair_child = np.divmod(pair[order[a]], len(self.keys))
+        self.pair_child = child[self.pair_child]
+        learns = np.tile(self.learns, len(own)).astype(np.int64)
+        self.pair_counts = np.add.reduceat(learns[order], a) if len(a) else np.zeros(0, np.int64)
+        self.sizes = np.bincount(self.pair_context, minlength=len(self.contexts))
+        self.context_counts = np.zeros(len(self.contexts), dtype=np.int64)
+        self.word_at = np.searchsorted(self.contexts, self.keys)
+        self.context_counts[self.word_at] = self.key_counts
+        #: For each order and token: its context, split or not, and the number of the split one or -1.
+        self.context_at = number[: -len(self.keys)].reshape(len(own), -1)
+        self.hot_at = np.full(self.context_at.shape, -1)
+        for i, c in enumerate(self.contexts_of):
+            if len(hot.keys):
+                at = np.minimum(np.searchsorted(hot.keys, c), len(hot.keys) - 1)
+                self.hot_at[i] = np.where(hot.keys[at] == c, at, -1)
+        self.split_of = np.full(len(self.contexts), -1)
+        held = self.hot_at >= 0
+        self.split_of[self.context_at[held]] = self.hot_at[held]
+
+
+def _squeeze(a: np.ndarray) -> bytes:
     """Small counts as bytes, larger ones after an escape, so that messages stay small."""
     small = np.minimum(a, 255).astype(np.uint8)
     large = a[a >= 255].astype("<u8")
@@ -284,120 +344,273 @@ def _expand(b: bytes) -> np.ndarray:
     return out
 
 
-def _pack_texts(docs: DataFrame, batches: int) -> DataFrame:
-    """Documents dealt to batches by a hash of id and text; texts are compressed for the shuffle."""
-    src = docs.select("doc_id", held_out(7, 2).alias("held_out"), F.coalesce("text", F.lit("")).alias("text"))
-    src = src.withColumn("batch", F.pmod(F.xxhash64("doc_id", "text"), F.lit(batches)).cast("int"))
+def _planes(a: np.ndarray) -> bytes:
+    """Numbers below 2^32, least bytes first, then the next, compressed."""
+    return zstandard.compress(np.ascontiguousarray(a.astype("<u4").view(np.uint8).reshape(-1, 4).T).tobytes(), 3)
+
+
+def _unplanes(b: bytes) -> np.ndarray:
+    raw = np.frombuffer(zstandard.decompress(b), np.uint8).reshape(4, -1)
+    return np.ascontiguousarray(raw.T).view("<u4").ravel().astype(np.int64)
+
+
+_BATCH = "batch long, doc_ids array<long>, held binary, lengths binary, keys binary, tokens binary, often binary, times binary"
+_ASKED = pa.schema([("shard", pa.int32()), ("batch", pa.int64()), *((c, pa.binary()) for c in ("contexts", "counts", "sizes", "children", "times", "split", "parents", "totals"))])
+_SERVED = pa.schema([("shard", pa.int32()), ("batch", pa.int64()), *((c, pa.binary()) for c in ("counts", "masses", "codes", "parents", "held")), ("n", pa.int64()), ("v", pa.int64()), ("trie", pa.binary())])
+
+
+def _ddl(schema: pa.Schema) -> str:
+    kinds = {pa.int32(): "int", pa.int64(): "long", pa.binary(): "binary"}
+    return ", ".join(f"{f.name} {kinds[f.type]}" for f in schema)
+
+
+def _rows(docs: DataFrame, order: int, batch_bytes: int, share: float) -> DataFrame:
+    """One row for each batch of documents, written once: token numbers and the hashes that they stand for."""
 
     def work(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pack = zstandard.ZstdCompressor(level=3).compress
+        for number, t in gathered(it, batch_bytes):
+            held = np.array(t.column("held_out").to_pylist(), dtype=bool)
+            b = Batch.of(t.column("text").to_pylist(), ~held, order)
+            often, times = b.frequent(share)
+            # Frequent words get small numbers: their bytes are more alike.
+            rank = np.argsort(-np.bincount(b.token, minlength=len(b.keys)), kind="stable")
+            small = np.empty(len(rank), dtype=np.int64)
+            small[rank] = np.arange(len(rank))
+            columns = [[number], [t.column("doc_id").to_pylist()], [held.tobytes()], [b.lengths.astype("<i8").tobytes()], [b.keys[rank].astype("<u8").tobytes()], [_planes(small[b.token])], [often.astype("<u8").tobytes()], [times.astype("<i8").tobytes()]]
+            kinds = [pa.int64(), pa.list_(pa.int64()), *[pa.binary()] * 6]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["batch", "doc_ids", "held", "lengths", "keys", "tokens", "often", "times"])
+
+    return cut_lineage(docs.mapInArrow(work, _BATCH))
+
+
+def _read(row: dict, order: int) -> Batch:
+    keys = np.frombuffer(row["keys"], "<u8")
+    by = np.argsort(keys)
+    place = np.empty(len(keys), dtype=np.int64)
+    place[by] = np.arange(len(keys))
+    return Batch(keys[by], place[_unplanes(row["tokens"])], np.frombuffer(row["lengths"], "<i8"), ~np.frombuffer(row["held"], bool), order)
+
+
+_USED = ("batch", "held", "lengths", "keys", "tokens")
+
+
+def _hot(rows: DataFrame, order: int, shards: int, share: float) -> Hot:
+    """Contexts before more than ``share`` of all tokens, or somewhat less; at most 1 / ``share`` for each order."""
+
+    def often(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in it:
-            packed = pa.array([pack(t.as_buffer()) for t in b.column("text").cast(pa.binary())], pa.binary())
-            yield pa.RecordBatch.from_arrays([b.column("batch"), b.column("doc_id"), b.column("held_out"), packed], names=["batch", "doc_id", "held_out", "packed"])
-
-    return src.mapInArrow(work, "batch int, doc_id long, held_out boolean, packed binary")
-
-
-def _texts(column) -> list[str]:
-    unpack = zstandard.ZstdDecompressor().decompress
-    return [unpack(x).decode("utf-8", "surrogatepass") for x in column.to_pylist()]
-
-
-def _hot_contexts(docs: DataFrame) -> np.ndarray:
-    n = docs.count()
-    some = docs.where(F.col("text").isNotNull() & (F.pmod(F.xxhash64("text"), F.lit(max(1, n // HOT_TEXTS))) == 0))
-    words = some.select(F.explode(F.split(F.trim(F.translate("text", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")), r"[\x20\x09-\x0D]+")).alias("w"))
-    counts = words.groupBy("w").count().orderBy(F.desc("count"), "w").limit(int(1 / HOT)).collect()
-    total = words.count()
-    hot = [r["w"].encode() for r in counts if r["count"] > HOT * total]
-    return np.concatenate([_hash_words(hot), np.array([START], dtype=np.uint64)])
-
-
-def answer(questions: list[dict], place: str) -> tuple[list[tuple[bytes, bytes]], int, int]:
-    """A shard's trie from all questions, answers to each, and its training tokens and distinct training tokens."""
-    contexts = [np.frombuffer(q["contexts"], "<u8") for q in questions]
-    counts, sizes = ([_expand(q[k]) for q in questions] for k in ("counts", "sizes"))
-    children = [np.frombuffer(q["children"], "<u4") for q in questions]
-    times = [_expand(q["times"]) for q in questions]
-    every = np.concatenate(contexts)
-    keys, inverse = np.unique(every, return_inverse=True)
-    totals = np.bincount(inverse, weights=np.concatenate(counts), minlength=len(keys)).astype(np.int64)
-    seen = np.concatenate(times) > 0
-    own = np.repeat(inverse, np.concatenate(sizes)).astype(np.uint64)
-    pairs = (own << _U(32) | np.concatenate(children).astype(np.uint64))[seen]
-    pair_keys, pair_inverse = np.unique(pairs, return_inverse=True)
-    pair_totals = np.bincount(pair_inverse, weights=np.concatenate(times)[seen], minlength=len(pair_keys))
-    pointers = np.searchsorted(pair_keys, np.arange(len(keys) + 1, dtype=np.uint64) << _U(32))
-    Trie.write(place, keys, totals, pointers, (pair_keys & _U(0xFFFFFFFF)).astype(np.uint32), quantise(pair_totals))
-    trie = Trie(place)
-    out = []
-    for c, s, w in zip(contexts, sizes, children, strict=True):
-        found, codes = trie.look_up(c, s, w)
-        out.append((_squeeze(found, "counts"), zstandard.compress(codes.tobytes(), 1)))
-    tokens_here = totals[keys != START]
-    return out, int(tokens_here.sum()), int((tokens_here > 0).sum())
+            for keys, times in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(keys, "<i8")), pa.array(np.frombuffer(times, "<i8"))], names=["key", "times"])
 
+    def size(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in it:
+            yield pa.RecordBatch.from_arrays([pa.array([int(np.frombuffer(x, "<i8").sum()) for x in b.column(0).to_pylist()], pa.int64())], names=["n"])
 
-def score(docs: DataFrame, mu: float = MU, batch_bytes: int = BATCH_BYTES, shard_bytes: int = SHARD_BYTES) -> DataFrame:
-    """For every row: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score.
+    total = rows.select("lengths").mapInArrow(size, "n long").agg(F.sum("n")).first()[0] or 0
+    found = rows.select("often", "times").mapInArrow(often, "key long, times long").groupBy("key").agg(F.sum("times").alias("n")).where(F.col("n") > share * total).collect()
+    if not found:
+        return NONE_HOT
+    n = {r["key"] & 0xFFFFFFFFFFFFFFFF: r["n"] for r in found}
+    keys = np.array(sorted(n), dtype=np.uint64)
+    parts = np.array([max(1, -(-4 * n[k] * shards // total)) for k in sorted(n)], dtype=np.int64)
 
-    Learns from the rows that are not held out. A null text counts as empty: its end is its only token. If
-    nothing is held in, all counts are 0 and V is 0. Repeated rows count and are scored each. An empty table
-    gives an empty result. Words are known by 64-bit hashes, successors by 32 bits of theirs in a context.
-    """
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    batches, shards = parts_for(docs, "text", batch_bytes), parts_for(docs, "text", shard_bytes)
-    hot = _hot_contexts(docs)
-    dealt = lambda: _pack_texts(docs, batches)
-
-    def ask(key, group):
-        b = Batch(_texts(group.column("packed")), ~np.array(group.column("held_out").to_pylist(), dtype=bool), hot)
-        a, p = b.cuts(shards)
-        rows = []
-        for s in range(shards):
-            c, w = slice(a[s], a[s + 1]), slice(p[s], p[s + 1])
-            if a[s] < a[s + 1]:
-                rows.append({"shard": s, "batch": key[0].as_py(), "contexts": b.contexts[c].astype("<u8").tobytes(), "counts": _squeeze(b.context_counts[c], "c"), "sizes": _squeeze(b.sizes[c], "s"), "children": b.pair_child[w].astype("<u4").tobytes(), "times": _squeeze(b.pair_counts[w], "t")})
-        return pa.Table.from_pylist(rows, schema=pa.schema([("shard", pa.int32()), ("batch", pa.int32()), *((c, pa.binary()) for c in ("contexts", "counts", "sizes", "children", "times"))]))
+    def trained(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in it:
+            for row in b.to_pylist():
+                times = _read(row, order).trained(keys)
+                yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(keys))), pa.array(times)], names=["i", "times"])
+
+    totals = np.zeros(len(keys), dtype=np.int64)
+    for r in rows.select(*_USED).mapInArrow(trained, "i long, times long").groupBy("i").agg(F.sum("times").alias("n")).collect():
+        totals[r["i"]] = r["n"]
+    return Hot(keys, parts, totals, np.zeros(len(keys)))
+
+
+def _questions(row: dict, order: int, hot: Hot, shards: int) -> pa.Table:
+    """A batch's distinct contexts and successors with its training counts, one message for each key range hit."""
+    b = _read(row, order)
+    b.paired(hot)
+    ends = np.concatenate([[0], np.cumsum(b.sizes)])
+    rows = []
+    for x, y in zip(*runs(shard_of(b.contexts, shards)), strict=True):
+        w, split = slice(ends[x], ends[y]), np.flatnonzero(b.split_of[x:y] >= 0)
+        parents = b.split_of[x:y][split]
+        rows.append(
+            {
+                "shard": int(shard_of(b.contexts[x : x + 1], shards)[0]),
+                "batch": row["batch"],
+                "contexts": b.contexts[x:y].astype("<u8").tobytes(),
+                "counts": _squeeze(b.context_counts[x:y]),
+                "sizes": _squeeze(b.sizes[x:y]),
+                "children": b.pair_child[w].astype("<u4").tobytes(),
+                "times": _squeeze(b.pair_counts[w]),
+                "split": b.contexts[x:y][split].astype("<u8").tobytes(),
+                "parents": parents.astype("<i8").tobytes(),
+                "totals": hot.totals[parents].astype("<i8").tobytes(),
+            }
+        )
+    return pa.Table.from_pylist(rows, schema=_ASKED)
+
+
+def build(questions: list[dict], place: str, discount: float) -> tuple[int, int, np.ndarray, np.ndarray]:
+    """Writes the trie of a range's counts; its training tokens, distinct ones, parents of split contexts and their masses."""
+    contexts = np.concatenate([np.frombuffer(q["contexts"], "<u8") for q in questions])
+    sizes = np.concatenate([_expand(q["sizes"]) for q in questions])
+    times = np.concatenate([_expand(q["times"]) for q in questions])
+    keys, inverse = np.unique(contexts, return_inverse=True)
+    words = np.bincount(inverse, weights=np.concatenate([_expand(q["counts"]) for q in questions]), minlength=len(keys)).astype(np.int64)
+    seen = times > 0
+    pairs = (np.repeat(inverse, sizes).astype(np.uint64) << _U(32) | np.concatenate([np.frombuffer(q["children"], "<u4") for q in questions]).astype(np.uint64))[seen]
+    order = np.argsort(pairs)
+    a, _ = runs(pairs[order])
+    pair_keys = pairs[order[a]]
+    counts = np.add.reduceat(times[seen][order], a) if len(a) else np.zeros(0, np.int64)
+    pointers = np.searchsorted(pair_keys, np.arange(len(keys) + 1, dtype=np.uint64) << _U(32))
+    owner = (pair_keys >> _U(32)).astype(np.int64)
+    totals = np.bincount(owner, weights=counts, minlength=len(keys))
+    split, at = np.unique(np.concatenate([np.frombuffer(q["split"], "<u8") for q in questions]), return_index=True)
+    parents, of_all = (np.concatenate([np.frombuffer(q[c], "<i8") for q in questions])[at] for c in ("parents", "totals"))
+    totals[np.searchsorted(keys, split)] = of_all
+    codes = quantise(np.maximum(counts - discount, 0) / totals[owner]) if len(counts) else np.zeros(0, np.uint8)
+    Trie.write(place, keys, words, pointers, (pair_keys & _U(0xFFFFFFFF)).astype(np.uint32), codes)
+    held = Trie(place).masses[np.searchsorted(keys, split)]
+    return int(words.sum()), int((words > 0).sum()), parents, held
+
+
+def _answer(trie: Trie, q: dict) -> dict:
+    counts, masses, codes = trie.look_up(np.frombuffer(q["contexts"], "<u8"), _expand(q["sizes"]), np.frombuffer(q["children"], "<u4"))
+    return {"shard": q["shard"], "batch": q["batch"], "counts": _squeeze(counts), "masses": zstandard.compress(masses.astype("<f4").tobytes(), 1), "codes": zstandard.compress(codes.tobytes(), 1)}
+
+
+def _scores(row: dict, answers: list[dict], order: int, hot: Hot, big_n: int, big_v: int) -> pa.Table:
+    b = _read(row, order)
+    b.paired(hot)
+    own = sorted(answers, key=lambda r: r["shard"])
+    counts = np.concatenate([_expand(r["counts"]) for r in own])
+    masses = np.concatenate([np.frombuffer(zstandard.decompress(r["masses"]), "<f4") for r in own]).astype(float)
+    codes = np.concatenate([np.frombuffer(zstandard.decompress(r["codes"]), np.uint8) for r in own])
+    known = counts[b.word_at]
+    base = ((known + 1) / (big_n + big_v + 1))[b.token]
+    p, seen = base, VALUES[codes][b.pair].reshape(order - 1, -1)
+    for i in range(order - 1):
+        mass = masses[b.context_at[i]]
+        if len(hot.keys):
+            mass = np.where(b.hot_at[i] >= 0, hot.masses[np.maximum(b.hot_at[i], 0)], mass)
+        p = seen[i] + (1 - mass) * p
+    sums = lambda x: np.bincount(b.owner, weights=x, minlength=len(b.lengths))
+    n = len(b.lengths)
+    return pa.table(
+        {
+            "doc_id": pa.array(row["doc_ids"], pa.int64()),
+            "held_out": pa.array(np.frombuffer(row["held"], bool)),
+            "n_tokens": pa.array(b.lengths),
+            "n_known": pa.array(np.round(sums(known[b.token] > 0)).astype(np.int64)),
+            "train_tokens": pa.array(np.full(n, big_n, dtype=np.int64)),
+            "base_score": pa.array(sums(np.log10(base))),
+            "score": pa.array(sums(np.log10(p))),
+        }
+    )
+
+
+_MODEL = "shard int, n long, v long, trie binary"
+
+
+def _source(docs: DataFrame) -> DataFrame:
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out(7, 2).alias("held_out"), F.coalesce("text", F.lit("")).alias("text"))
+
+
+def _served(docs: DataFrame, order: int, discount: float, batch_bytes: int, shard_bytes: int, keep: bool) -> tuple[DataFrame, DataFrame, Hot, int]:
+    """Batches, the ranges' answers to them (with tries, if they are to be kept), split contexts, number of ranges."""
+    shards = parts_for(docs, "text", shard_bytes)
+    share = max(1 / (4 * shards), LEAST_SHARE)
+    rows = _rows(docs, order, batch_bytes, share)
+    hot = _hot(rows, order, shards, share)
+
+    def ask(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in it:
+            for row in b.to_pylist():
+                yield from _questions(row, order, hot, shards).to_batches()
 
     def serve(key, group):
         questions = group.to_pylist()
         with tempfile.TemporaryDirectory() as place:
-            answers, n, v = answer(questions, place)
-        rows = [{"shard": key[0].as_py(), "batch": q["batch"], "counts": c, "codes": w, "n": n if i == 0 else 0, "v": v if i == 0 else 0} for i, (q, (c, w)) in enumerate(zip(questions, answers, strict=True))]
-        return pa.Table.from_pylist(rows, schema=pa.schema([("shard", pa.int32()), ("batch", pa.int32()), ("counts", pa.binary()), ("codes", pa.binary()), ("n", pa.int64()), ("v", pa.int64())]))
+            n, v, parents, held = build(questions, place, discount)
+            trie = Trie(place)
+            out = [] if keep else [_answer(trie, q) for q in questions]
+            out.append({"shard": key[0].as_py(), "batch": None, "parents": parents.astype("<i8").tobytes(), "held": held.astype("<f8").tobytes(), "n": n, "v": v, "trie": folded(place) if keep else None})
+        return pa.Table.from_pylist(out, schema=_SERVED)
+
+    served = cut_lineage(rows.select(*_USED).mapInArrow(ask, _ddl(_ASKED)).groupBy("shard").applyInArrow(serve, _ddl(_SERVED)))
+
+    def masses(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in it:
+            for parents, held in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(parents, "<i8")), pa.array(np.frombuffer(held, "<f8"))], names=["i", "mass"])
 
-    asked = dealt().groupBy("batch").applyInArrow(ask, "shard int, batch int, contexts binary, counts binary, sizes binary, children binary, times binary")
-    served = cut_lineage(asked.groupBy("shard").applyInArrow(serve, "shard int, batch int, counts binary, codes binary, n long, v long"))
-    totals = served.agg(F.sum("n").alias("n"), F.sum("v").alias("v")).first()
+    if len(hot.keys):
+        for r in served.where("batch is null").select("parents", "held").mapInArrow(masses, "i long, mass double").groupBy("i").agg(F.sum("mass").alias("m")).collect():
+            hot.masses[r["i"]] = r["m"]
+    return rows, served, hot, shards
+
+
+def fit(docs: DataFrame, order: int = ORDER, discount: float = DISCOUNT, batch_bytes: int = BATCH_BYTES, shard_bytes: int = SHARD_BYTES) -> DataFrame:
+    """The model as a table: a trie for each key range, and one row (shard -1) for order, ranges and split contexts.
+
+    Learns from the rows that are not held out. An empty table gives the model that has seen nothing.
+    """
+    _, served, hot, shards = _served(_source(docs), order, discount, batch_bytes, shard_bytes, True)
+    out = io.BytesIO()
+    np.savez(out, order=order, shards=shards, keys=hot.keys, parts=hot.parts, totals=hot.totals, masses=hot.masses)
+    first = docs.sparkSession.createDataFrame([(-1, 0, 0, bytearray(out.getvalue()))], _MODEL)
+    return served.select("shard", "n", "v", "trie").unionByName(first)
+
+
+def score(docs: DataFrame, order: int = ORDER, discount: float = DISCOUNT, batch_bytes: int = BATCH_BYTES, shard_bytes: int = SHARD_BYTES, model: DataFrame | None = None) -> DataFrame:
+    """For every row: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score.
+
+    Without a ``model`` it learns from the rows that are not held out, and the tries answer while they are at
+    hand. A null text counts as empty: its end is its only token. If nothing is held in, all counts are 0 and V
+    is 0. Repeated rows count and are scored each; very long texts are scored whole. An empty table gives an empty
+    result; extra columns are ignored. Words are known by 64-bit hashes, successors by 32 bits of theirs in a
+    context.
+    """
+    src = _source(docs)
+    if model is None:
+        rows, served, hot, _ = _served(src, order, discount, batch_bytes, shard_bytes, False)
+        about = served.where("batch is null")
+        served = served.where("batch is not null")
+    else:
+        about = model.where("shard >= 0")
+        with np.load(io.BytesIO(model.where("shard = -1").first()["trie"])) as x:
+            order, shards, hot = int(x["order"]), int(x["shards"]), Hot(x["keys"], x["parts"], x["totals"], x["masses"])
+        rows = _rows(src, order, batch_bytes, 1.0)
+
+        def ask(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in it:
+                for row in b.to_pylist():
+                    yield from _questions(row, order, hot, shards).to_batches()
+
+        def look(questions, tries):
+            asked, found = questions.to_pylist(), tries.column("trie").to_pylist()
+            with tempfile.TemporaryDirectory() as place:
+                if found:
+                    unfolded(found[0], place)
+                else:
+                    none = np.zeros(0, np.int64)
+                    Trie.write(place, none.astype(np.uint64), none, np.zeros(1, np.int64), none.astype(np.uint32), none.astype(np.uint8))
+                trie = Trie(place)
+                return pa.Table.from_pylist([_answer(trie, q) for q in asked], schema=_SERVED)
+
+        served = cut_lineage(rows.select(*_USED).mapInArrow(ask, _ddl(_ASKED)).groupBy("shard").cogroup(about.groupBy("shard")).applyInArrow(look, _ddl(_SERVED)))
+    totals = about.agg(F.sum("n").alias("n"), F.sum("v").alias("v")).first()
     big_n, big_v = totals["n"] or 0, totals["v"] or 0
+    schema = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
     def finish(group, answers):
-        held = np.array(group.column("held_out").to_pylist(), dtype=bool)
-        b = Batch(_texts(group.column("packed")), ~held, hot)
-        own = sorted(answers.to_pylist(), key=lambda r: r["shard"])
-        counts = np.concatenate([_expand(r["counts"]) for r in own]) if own else np.zeros(0, np.int64)
-        codes = np.concatenate([np.frombuffer(zstandard.decompress(r["codes"]), np.uint8) for r in own]) if own else np.zeros(0, np.uint8)
-        known = counts[np.searchsorted(b.contexts, b.keys)]
-        base = (known + 1) / (big_n + big_v + 1)
-        c = known[b.token]
-        n_docs = len(held)
-        p = (VALUES[codes][b.pair] + mu * base[b.token]) / (known[b.before] + mu)
-        sums = lambda x: np.bincount(b.owner, weights=x, minlength=n_docs)
-        return pa.table(
-            {
-                "doc_id": group.column("doc_id"),
-                "held_out": pa.array(held),
-                "n_tokens": pa.array(b.lengths),
-                "n_known": pa.array(np.round(sums(c > 0)).astype(np.int64)),
-                "train_tokens": pa.array(np.full(n_docs, big_n, dtype=np.int64)),
-                "base_score": pa.array(sums(np.log10(base)[b.token])),
-                "score": pa.array(sums(np.log10(p))),
-            }
-        )
+        found = answers.to_pylist()
+        return pa.concat_tables([_scores(r, found, order, hot, big_n, big_v) for r in group.to_pylist()])
 
-    schema = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    return dealt().groupBy("batch").cogroup(served.groupBy("batch")).applyInArrow(finish, schema)
+    return rows.select("doc_ids", *_USED).groupBy("batch").cogroup(served.select("shard", "batch", "counts", "masses", "codes").groupBy("batch")).applyInArrow(finish, schema)
 
 
 os.environ.setdefault("OMP_NUM_THREADS", "1")
