@@ -8,6 +8,8 @@ First the batches ask, by key range, which first k-grams of kept suffixes occur
 travel, once for each batch and context, as the words themselves. A range sorts its suffixes by their
 words, compares neighbours for the length that they have in common, does the same with the words to the
 left, read backwards, and from both lengths extends each match to every passage around the kept position.
+Around a gram that very many documents have, each passage is asked for by its own hash before, so that what
+differs from document to document beside a common passage goes nowhere.
 Words decide there, so a meeting of hashes costs time and changes nothing: a word is marked if and only
 if it lies in a passage of ``words`` words that two rows (or, if asked, two places) have in common.
 """
@@ -32,8 +34,8 @@ WORDS = 50
 #: Words by whose hash suffixes are selected and first asked for.
 GRAM = 16
 BATCH_BYTES, SHARD_BYTES = 8 << 20, 16 << 20
-#: A gram in more documents than this (by batch, 255 at most counted in each) has its passages dealt one by one.
-HOT = 50_000
+#: A gram in more documents than this has its passages dealt one by one; of so many grams in all at most.
+HOT, MOST_HOT = 20_000, 1_000_000
 
 _U = np.uint64
 _BASE = _U(0x9E3779B97F4A7C15)
@@ -128,9 +130,9 @@ def _cut(batch: int, keys: np.ndarray, shards: int, parts) -> list[dict]:
     return [{"shard": int(shard_of(keys[a : a + 1], shards)[0]), "batch": batch, **parts(a, b)} for a, b in zip(*runs(shard_of(keys, shards)), strict=True)]
 
 
-_BATCH = "batch long, doc_ids array<long>, counts binary, kept binary, sizes binary, texts binary"
+_BATCH = "batch long, doc_ids array<long>, n_kept long, counts binary, kept binary, sizes binary, texts binary"
 _ASKED = pa.schema([("shard", pa.int32()), ("batch", pa.int64()), ("keys", pa.binary()), ("counts", pa.binary())])
-_FLAGS = pa.schema([("shard", pa.int32()), ("batch", pa.int64()), ("keys", pa.binary()), ("flags", pa.binary())])
+_FLAGS = pa.schema([("shard", pa.int32()), ("batch", pa.int64()), ("keys", pa.binary()), ("flags", pa.binary()), ("n_hot", pa.int64())])
 _SENT = pa.schema([("shard", pa.int32()), ("batch", pa.int64()), ("keys", pa.binary()), ("left", pa.binary()), ("rows", pa.binary()), ("many", pa.binary()), ("uses", pa.binary()), ("places", pa.binary()), ("texts", pa.binary())])
 _FOUND = pa.schema([("batch", pa.int64()), ("places", pa.binary()), ("masks", pa.binary())])
 
@@ -156,9 +158,9 @@ def batch_rows(docs: DataFrame, words: int, gram: int, batch_bytes: int) -> Data
             texts = t.column("text").to_pylist()
             counts, kept = kept_suffixes(texts, words, gram)
             raw = [x.encode("utf-8", "surrogatepass") for x in texts]
-            columns = [[number], [t.column("doc_id").to_pylist()], [counts.astype("<i8").tobytes()], [_pack(kept.tobytes())], [np.array([len(r) for r in raw], "<i8").tobytes()], [_pack(b"".join(raw))]]
-            kinds = [pa.int64(), pa.list_(pa.int64()), *[pa.binary()] * 4]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["batch", "doc_ids", "counts", "kept", "sizes", "texts"])
+            columns = [[number], [t.column("doc_id").to_pylist()], [len(kept)], [counts.astype("<i8").tobytes()], [_pack(kept.tobytes())], [np.array([len(r) for r in raw], "<i8").tobytes()], [_pack(b"".join(raw))]]
+            kinds = [pa.int64(), pa.list_(pa.int64()), pa.int64(), *[pa.binary()] * 4]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["batch", "doc_ids", "n_kept", "counts", "kept", "sizes", "texts"])
 
     return cut_lineage(docs.mapInArrow(work, _BATCH))
 
@@ -174,18 +176,18 @@ class _Texts:
         return self.raw[self.ends[i - 1] if i else 0 : self.ends[i]]
 
 
-def _ask(batch: int, kept: np.ndarray, across: bool, shards: int) -> list[dict]:
-    """The distinct first grams of kept suffixes, and in how many rows (or places, up to 255) they are."""
-    order = np.lexsort((kept["row"], kept["key"]))
-    k, r = kept["key"][order], kept["row"][order]
+def _numbers(batch: int, keys: np.ndarray, rows: np.ndarray, across: bool, shards: int) -> list[dict]:
+    """The distinct keys, and in how many rows (or places) they are."""
+    order = np.lexsort((rows, keys))
+    k, r = keys[order], rows[order]
     a, b = runs(k)
     if across:
         new = np.concatenate([[True], (k[1:] != k[:-1]) | (r[1:] != r[:-1])]) if len(k) else np.zeros(0, bool)
         numbers = np.add.reduceat(new.astype(np.int64), a) if len(a) else a
     else:
         numbers = b - a
-    keys, numbers = k[a], np.minimum(numbers, 255).astype(np.uint8)
-    return _cut(batch, keys, shards, lambda x, y: {"keys": keys[x:y].astype("<u8").tobytes(), "counts": numbers[x:y].tobytes()})
+    keys = k[a]
+    return _cut(batch, keys, shards, lambda x, y: {"keys": keys[x:y].astype("<u8").tobytes(), "counts": numbers[x:y].astype("<u4").tobytes()})
 
 
 def _tell(key, group, hot: int):
@@ -193,43 +195,72 @@ def _tell(key, group, hot: int):
     rows = group.to_pylist()
     keys = [np.frombuffer(r["keys"], "<u8") for r in rows]
     every, inverse = np.unique(np.concatenate(keys), return_inverse=True)
-    total = np.bincount(inverse, weights=np.concatenate([np.frombuffer(r["counts"], np.uint8) for r in rows]), minlength=len(every))
+    total = np.bincount(inverse, weights=np.concatenate([np.frombuffer(r["counts"], "<u4") for r in rows]), minlength=len(every))
     flags = (total >= 2).astype(np.uint8) + (total > hot)
     out = []
     for r, k in zip(rows, keys, strict=True):
         f = flags[np.searchsorted(every, k)]
         again = f > 0
         if again.any():
-            out.append({"shard": r["shard"], "batch": r["batch"], "keys": k[again].astype("<u8").tobytes(), "flags": f[again].tobytes()})
+            out.append({"shard": r["shard"], "batch": r["batch"], "keys": k[again].astype("<u8").tobytes(), "flags": f[again].tobytes(), "n_hot": int((f == 2).sum())})
     return pa.Table.from_pylist(out, schema=_FLAGS)
 
 
+def _windows(split: list[bytes], at: int, least: int, most: int, words: int) -> Iterator[tuple[int, bytes, int]]:
+    """Each passage around a kept suffix: how many words before it it begins, its words and their hash."""
+    for o in range(least, most + 1):
+        text = b" ".join(split[at - o : at - o + words])
+        yield o, text, xxhash.xxh3_64_intdigest(text, o)
+
+
+def _splits(kept: np.ndarray, chosen: np.ndarray, counts: np.ndarray, texts: _Texts) -> Iterator[tuple[int, int, list[bytes], int, int, int, int]]:
+    """Number, row, words of the row, place in it, key, least and most of each chosen suffix; rows are split once."""
+    begins = np.cumsum(counts) - counts
+    row, split = -1, []
+    for i in chosen.tolist():
+        key, at, r, least, most = kept[i].item()
+        if r != row:
+            row, split = r, texts[r].split()
+        yield i, r, split, at - int(begins[r]), key, least, most
+
+
+def _ask_windows(batch: int, kept: np.ndarray, counts: np.ndarray, texts: _Texts, hot: np.ndarray, words: int, shards: int, across: bool) -> list[dict]:
+    """The passages around grams that very many rows have, by their hashes."""
+    keys, rows = [], []
+    for _, r, split, at, _, least, most in _splits(kept, np.flatnonzero(np.isin(kept["key"], hot)), counts, texts):
+        own = [h for _, _, h in _windows(split, at, least, most, words)]
+        keys += own
+        rows += [r] * len(own)
+    return _numbers(batch, np.array(keys, dtype=np.uint64), np.array(rows, dtype=np.int64), across, shards)
+
+
+def _merged(answers: list[dict], kind: int) -> tuple[np.ndarray, np.ndarray]:
+    own = [r for r in answers if r["kind"] == kind]
+    if not own:
+        return np.zeros(0, np.uint64), np.zeros(0, np.uint8)
+    keys = np.concatenate([np.frombuffer(r["keys"], "<u8") for r in own])
+    order = np.argsort(keys)
+    return keys[order], np.concatenate([np.frombuffer(r["flags"], np.uint8) for r in own])[order]
+
+
 def _send(batch: int, kept: np.ndarray, counts: np.ndarray, texts: _Texts, answers: list[dict], words: int, shards: int, across: bool) -> list[dict]:
     """Suffixes whose first gram occurs again, with the words to the left that their passages need; equal ones once."""
-    asked = [np.frombuffer(r["keys"], "<u8") for r in answers]
-    if not asked or not len(kept):
+    keys, flags = _merged(answers, 1)
+    if not len(keys) or not len(kept):
         return []
-    keys = np.concatenate(asked)
-    order = np.argsort(keys)
-    keys, flags = keys[order], np.concatenate([np.frombuffer(r["flags"], np.uint8) for r in answers])[order]
+    again = set(_merged(answers, 2)[0].tolist())
     place = np.minimum(np.searchsorted(keys, kept["key"]), len(keys) - 1)
     flag = np.where(keys[place] == kept["key"], flags[place], 0)
-    begins = np.cumsum(counts) - counts
     found: dict[tuple, list] = {}
-    row, split = -1, []
-    for i in np.flatnonzero(flag):
-        key, at, r, least, most = kept[i].item()
-        if r != row:
-            row, split = r, texts[r].split()
-        at -= int(begins[r])
+    for i, r, split, at, key, least, most in _splits(kept, np.flatnonzero(flag), counts, texts):
         if flag[i] == 2:
-            pieces = [(xxhash.xxh3_64_intdigest(b" ".join(split[at - o : at - o + words]), key & 0xFFFFFFFF ^ o), o, o) for o in range(least, most + 1)]
+            pieces = [(h, o, text) for o, text, h in _windows(split, at, least, most, words) if h in again]
         else:
-            pieces = [(key, least, most)]
-        for key, low, high in pieces:
-            held = found.setdefault((key, high, b" ".join(split[at - high : at - low + words])), [r, False, []])
+            pieces = [(key, most, b" ".join(split[at - most : at - least + words]))]
+        for piece in pieces:
+            held = found.setdefault(piece, [r, False, []])
             held[1] = held[1] or held[0] != r or not across and len(held[2]) > 0
-            held[2].append(int(i))
+            held[2].append(i)
     rows = sorted(found.items())
     keys = np.array([k for (k, _, _), _ in rows], dtype=np.uint64)
 
@@ -343,8 +374,8 @@ def repeated_passages(docs: DataFrame, words: int = WORDS, gram: int = GRAM, acr
 
     ``across``: a passage counts if two rows have it; otherwise also if one row has it twice. Repeated rows
     are two rows. A null, empty or short text has no passage, very long texts are read whole. Words are compared
-    as they are. A gram in more than ``hot`` rows has each passage around it sent under the passage's own hash,
-    so that no range gets all its contexts. An empty table gives an empty result; extra columns are ignored.
+    as they are. A gram in more than ``hot`` rows (or a millionth of all kept suffixes) has each passage around it
+    asked for and sent under the passage's own hash, so that no range gets all its contexts. An empty table gives an empty result; extra columns are ignored.
     """
     if not 1 <= gram <= words or words - gram >= 64:
         raise ValueError("a kept suffix must fit the passage, and begin at most 63 words after it")
@@ -356,7 +387,19 @@ def repeated_passages(docs: DataFrame, words: int = WORDS, gram: int = GRAM, acr
     def ask(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in it:
             for number, kept in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                yield from pa.Table.from_pylist(_ask(number, suffixes(kept), across, shards), schema=_ASKED).to_batches()
+                kept = suffixes(kept)
+                yield from pa.Table.from_pylist(_numbers(number, kept["key"], kept["row"], across, shards), schema=_ASKED).to_batches()
+
+    def ask_windows(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in it:
+            for r in b.to_pylist():
+                found = _ask_windows(r["batch"], suffixes(r["kept"]), np.frombuffer(r["counts"], "<i8"), _Texts(r["sizes"], r["texts"]), hot_keys, words, shards, across)
+                yield from pa.Table.from_pylist(found, schema=_ASKED).to_batches()
+
+    def hot_of(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in it:
+            for keys, flags in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(keys, "<i8")[np.frombuffer(flags, np.uint8) == 2])], names=["key"])
 
     def send(group, answers):
         out = []
@@ -386,7 +429,14 @@ def repeated_passages(docs: DataFrame, words: int = WORDS, gram: int = GRAM, acr
                 out.append({"doc_id": doc, "n_words": int(counts[d]), "n_repeated": sum(e - s for s, e in mine), "n_spans": len(mine), "spans": [{"first_word": s, "last_word": e, "start": bounds[s][0], "end": bounds[e - 1][1]} for s, e in mine]})
         return pa.Table.from_pylist(out, schema=shown)
 
-    flags = held.select("batch", "kept").mapInArrow(ask, _ddl(_ASKED)).groupBy("shard").applyInArrow(lambda key, group: _tell(key, group, hot), _ddl(_FLAGS))
+    hot = max(hot, (held.agg(F.sum("n_kept")).first()[0] or 0) // MOST_HOT)
+    flags = cut_lineage(held.select("batch", "kept").mapInArrow(ask, _ddl(_ASKED)).groupBy("shard").applyInArrow(lambda key, group: _tell(key, group, hot), _ddl(_FLAGS)))
+    # More than `hot` rows have each of these: there are fewer than MOST_HOT.
+    hot_keys = np.array(sorted(r[0] & 0xFFFFFFFFFFFFFFFF for r in flags.where("n_hot > 0").select("keys", "flags").mapInArrow(hot_of, "key long").distinct().collect()), dtype=np.uint64)
+    flags = flags.withColumn("kind", F.lit(1))
+    if len(hot_keys):
+        windows = held.select("batch", "counts", "kept", "sizes", "texts").mapInArrow(ask_windows, _ddl(_ASKED)).groupBy("shard").applyInArrow(lambda key, group: _tell(key, group, 1 << 62), _ddl(_FLAGS))
+        flags = flags.unionByName(windows.withColumn("kind", F.lit(2)))
     sent = held.select("batch", "counts", "kept", "sizes", "texts").groupBy("batch").cogroup(flags.groupBy("batch")).applyInArrow(send, _ddl(_SENT))
     found = sent.groupBy("shard").applyInArrow(lambda key, group: _extend(key, group, words, across), _ddl(_FOUND))
     return held.groupBy("batch").cogroup(found.groupBy("batch")).applyInArrow(finish, schema)
