@@ -39,7 +39,7 @@ from codeprov.llm.common import cut_lineage, gathered, held_out, parts_for, runs
 #: Words of an n-gram, and what is taken off the count of one that was seen.
 ORDER, DISCOUNT = 2, 0.75
 #: Bytes of text in a batch, and for which there is one key range.
-BATCH_BYTES, SHARD_BYTES = 8 << 20, 12 << 20
+BATCH_BYTES, SHARD_BYTES = 5 << 20, 8 << 20
 #: A context before a greater share of all tokens than a quarter of a range's, but at least this one, may be split.
 LEAST_SHARE = 1e-5
 #: Steps of the quantised log10 probabilities; 255 of them reach down to 10 ** -12.7.
@@ -250,11 +250,10 @@ class Batch:
 
     def __init__(self, keys: np.ndarray, token: np.ndarray, lengths: np.ndarray, train: np.ndarray, order: int) -> None:
         self.keys, self.token, self.lengths, self.order = keys, token, lengths, order
-        self.owner = np.repeat(np.arange(len(lengths)), lengths)
-        self.learns = train[self.owner]
+        self.learns = np.repeat(train, lengths)
         self.key_counts = np.bincount(token[self.learns], minlength=len(keys)).astype(np.int64)
         h = keys[token]
-        place = np.arange(len(token)) - np.repeat(np.cumsum(lengths) - lengths, lengths)
+        place = (np.arange(len(token)) - np.repeat(np.cumsum(lengths) - lengths, lengths)).astype(np.int32)
         #: The context of each token, for each order from 2 on: hashes of its words, nearest first.
         self.contexts_of = []
         held = None
@@ -271,9 +270,10 @@ class Batch:
         rows = [list(map(ids.__getitem__, tokens(t))) for t in texts]
         lengths = np.array([len(r) + 1 for r in rows], dtype=np.int64)
         end = len(ids)
-        word = np.fromiter(chain.from_iterable(chain(r, (end,)) for r in rows), np.int64, int(lengths.sum()))
+        word = np.fromiter(chain.from_iterable(chain(r, (end,)) for r in rows), np.int32, int(lengths.sum()))
+        del rows
         keys, place = np.unique(np.concatenate([_hash_words(list(ids)), np.array([END], dtype=np.uint64)]), return_inverse=True)
-        return cls(keys, place[word], lengths, train, order)
+        return cls(keys, place.astype(np.int32)[word], lengths, train, order)
 
     def frequent(self, share: float) -> tuple[np.ndarray, np.ndarray]:
         """Contexts before more than ``share`` of the tokens here, and of how many."""
@@ -302,24 +302,28 @@ class Batch:
                 part = (child[self.token].astype(np.uint64) * hot.parts[at].astype(np.uint64) >> _U(32)) + _U(1)
                 c = np.where(hot.keys[at] == c, _mixed(c, part << _U(20)), c)
             own.append(c)
-        every = np.concatenate([*own, self.keys])
-        self.contexts, number = np.unique(every, return_inverse=True)
-        pair = number[: -len(self.keys)] * len(self.keys) + np.tile(self.token, len(own))
-        order = np.argsort(pair, kind="stable")
-        a, b = runs(pair[order])
-        self.pair = np.empty(len(pair), dtype=np.int64)
-        self.pair[order] = np.repeat(np.arange(len(a)), b - a)
-        self.pair_context, self.pair_child = np.divmod(pair[order[a]], len(self.keys))
-        self.pair_child = child[self.pair_child]
-        learns = np.tile(self.learns, len(own)).astype(np.int64)
-        self.pair_counts = np.add.reduceat(learns[order], a) if len(a) else np.zeros(0, np.int64)
-        self.sizes = np.bincount(self.pair_context, minlength=len(self.contexts))
+        own.append(self.keys)
+        self.contexts, number = np.unique(np.concatenate(own), return_inverse=True)
+        number = number[: -len(self.keys)].astype(np.int32)
+        orders = len(own) - 1
+        del own
+        pair = number.astype(np.int64) * len(self.keys) + np.tile(self.token, orders)
+        order = np.argsort(pair, kind="stable").astype(np.int32)
+        pair = pair[order]
+        a, b = runs(pair)
+        self.pair = np.empty(len(order), dtype=np.int32)
+        self.pair[order] = np.repeat(np.arange(len(a), dtype=np.int32), b - a)
+        context, last = np.divmod(pair[a], len(self.keys))
+        del pair
+        self.pair_child = child[last]
+        self.pair_counts = np.add.reduceat(np.tile(self.learns, orders)[order], a, dtype=np.int64) if len(a) else np.zeros(0, np.int64)
+        self.sizes = np.bincount(context, minlength=len(self.contexts))
         self.context_counts = np.zeros(len(self.contexts), dtype=np.int64)
         self.word_at = np.searchsorted(self.contexts, self.keys)
         self.context_counts[self.word_at] = self.key_counts
         #: For each order and token: its context, split or not, and the number of the split one or -1.
-        self.context_at = number[: -len(self.keys)].reshape(len(own), -1)
-        self.hot_at = np.full(self.context_at.shape, -1)
+        self.context_at = number.reshape(orders, -1)
+        self.hot_at = np.full(self.context_at.shape, -1, dtype=np.int32)
         for i, c in enumerate(self.contexts_of):
             if len(hot.keys):
                 at = np.minimum(np.searchsorted(hot.keys, c), len(hot.keys) - 1)
@@ -351,7 +355,7 @@ def _planes(a: np.ndarray) -> bytes:
 
 def _unplanes(b: bytes) -> np.ndarray:
     raw = np.frombuffer(zstandard.decompress(b), np.uint8).reshape(4, -1)
-    return np.ascontiguousarray(raw.T).view("<u4").ravel().astype(np.int64)
+    return np.ascontiguousarray(raw.T).view("<u4").ravel()
 
 
 _BATCH = "batch long, doc_ids array<long>, held binary, lengths binary, keys binary, tokens binary, often binary, times binary"
@@ -386,7 +390,7 @@ def _rows(docs: DataFrame, order: int, batch_bytes: int, share: float) -> DataFr
 def _read(row: dict, order: int) -> Batch:
     keys = np.frombuffer(row["keys"], "<u8")
     by = np.argsort(keys)
-    place = np.empty(len(keys), dtype=np.int64)
+    place = np.empty(len(keys), dtype=np.int32)
     place[by] = np.arange(len(keys))
     return Batch(keys[by], place[_unplanes(row["tokens"])], np.frombuffer(row["lengths"], "<i8"), ~np.frombuffer(row["held"], bool), order)
 
@@ -497,14 +501,14 @@ def _scores(row: dict, answers: list[dict], order: int, hot: Hot, big_n: int, bi
         if len(hot.keys):
             mass = np.where(b.hot_at[i] >= 0, hot.masses[np.maximum(b.hot_at[i], 0)], mass)
         p = seen[i] + (1 - mass) * p
-    sums = lambda x: np.bincount(b.owner, weights=x, minlength=len(b.lengths))
-    n = len(b.lengths)
+    n, begins = len(b.lengths), np.cumsum(b.lengths) - b.lengths
+    sums = lambda x: np.add.reduceat(x, begins)
     return pa.table(
         {
             "doc_id": pa.array(row["doc_ids"], pa.int64()),
             "held_out": pa.array(np.frombuffer(row["held"], bool)),
             "n_tokens": pa.array(b.lengths),
-            "n_known": pa.array(np.round(sums(known[b.token] > 0)).astype(np.int64)),
+            "n_known": pa.array(sums((known > 0).astype(np.int64)[b.token])),
             "train_tokens": pa.array(np.full(n, big_n, dtype=np.int64)),
             "base_score": pa.array(sums(np.log10(base))),
             "score": pa.array(sums(np.log10(p))),
