@@ -4,7 +4,9 @@ For each language a suffix automaton is built over a bounded sample of its label
 greedily into phrases, each the longest next piece that occurs in the sample; the language that needs
 fewest phrases, normalised to bits per character, wins. Cross-parsing only ever follows forward edges or
 restarts at the root, so an automaton becomes one dense table (state, letter) -> (next state, new phrase?)
-and a worker parses thousands of blocks of text against all languages in lockstep.
+and a worker parses thousands of blocks of text against all languages in lockstep. Where a block goes on from
+another one, a second parse from that one's last state runs beside the first until both are in the same state;
+from there on they are one, so the difference up to there corrects the count and whole texts are parsed exactly.
 """
 
 from __future__ import annotations
@@ -30,7 +32,7 @@ PIECE_DOCS = 48
 FULL_LANGUAGES = 64
 #: Letters of the dense table: 0 pads, 1..39 frequent letters, the others share 24 classes by code block.
 LETTERS, FREQUENT = 64, 40
-#: A longer text is parsed in blocks of so many letters (each restarts the phrase).
+#: A longer text is parsed in blocks of so many letters side by side; what the restarts add is taken off again.
 BLOCK = 2048
 
 
@@ -139,7 +141,8 @@ class Model:
         for row, j in enumerate(order):
             grid[row, : len(blocks[j])] = blocks[j]
         grid = np.ascontiguousarray(grid.T)
-        state = np.repeat(np.array(self.starts, dtype=np.int32)[:, None], len(order), axis=1)
+        fresh = np.array(self.starts, dtype=np.int32)[:, None]
+        state = np.repeat(fresh, len(order), axis=1)
         count = np.zeros(state.shape, dtype=np.int32)
         alive = np.searchsorted(-sizes, -np.arange(sizes[0]), side="left")
         for step in range(sizes[0]):
@@ -147,9 +150,40 @@ class Model:
             moved = self.table.take(state[:, :k] + grid[step, :k])
             count[:, :k] += moved & 1
             np.bitwise_and(moved >> 1, ~63, out=state[:, :k])
-        np.add.at(out, np.array(owner)[order], count.T)
+        owner = np.array(owner)
+        np.add.at(out, owner[order], count.T)
+        row_of = np.empty(len(order), dtype=np.int64)
+        row_of[order] = np.arange(len(order))
+        later = np.flatnonzero(owner[1:] == owner[:-1]) + 1
+        if len(later):
+            rows, before = row_of[later], row_of[later - 1]
+            went, wrong = state[:, before], np.repeat(fresh, len(rows), axis=1)
+            extra = np.zeros(went.shape, dtype=np.int64)
+            for step in range(sizes[0]):
+                apart = np.flatnonzero((went != wrong).any(axis=0))
+                if not len(apart):
+                    break
+                c = grid[step, rows[apart]]
+                a, f = self.table.take(went[:, apart] + c), self.table.take(wrong[:, apart] + c)
+                extra[:, apart] += (a & 1) - (f & 1)
+                went[:, apart], wrong[:, apart] = a >> 1 & ~63, f >> 1 & ~63
+            np.add.at(out, owner[later], extra.T)
+            for i in np.unique(owner[later[(went != wrong).any(axis=0)]]).tolist():
+                # Some block never came together: its last state was another, so the text is parsed from its start.
+                out[i] = self._in_order(self.alphabet.classes(texts[i]))
         return out
 
+    def _in_order(self, letters: np.ndarray) -> list[int]:
+        found, table = [], memoryview(self.table)
+        for state in self.starts:
+            n = 0
+            for c in letters.tolist():
+                moved = table[state + c]
+                n += moved & 1
+                state = moved >> 1 & ~63
+            found.append(n)
+        return found
+
     def predict(self, texts: list[str | None]) -> list[tuple[str, float]]:
         """Language and score of texts that hold letters and blanks only."""
         clean = [(t or "").strip() for t in texts]
@@ -235,7 +269,9 @@ def predict(docs: DataFrame, samples: dict[str, str], keep: tuple[str, ...] = ("
     """``keep`` columns, ``lang_pred`` and ``score`` (0 to 1) for every row; a narrow step over ``text`` alone.
 
     A null text, or one without a letter, is ``und`` with score 0, as is every text if nothing was learned.
-    Ties go to the language that sorts first. An empty table gives an empty result.
+    Ties go to the language that sorts first. Very long texts are parsed whole, repeated rows give repeated rows,
+    and columns beside ``keep`` are ignored, also where they bear the name of a result. An empty table gives an
+    empty result.
     """
     shared = docs.sparkSession.sparkContext.broadcast(samples)
     named = {c: f"_k{i}" for i, c in enumerate(keep)}

@@ -24,11 +24,15 @@ def test_phrases_by_definition(text):
     assert m.phrases([text])[0].tolist() == [phrases(shown(text), shown(SAMPLES[k])) for k in m.languages]
 
 
-def test_blocks_add_up():
+@pytest.mark.parametrize("block", [2048, 50, 3, 1])
+def test_long_texts_are_parsed_whole(monkeypatch, block):
+    monkeypatch.setattr(langid, "BLOCK", block)
     m = langid.Model(SAMPLES)
-    text = ("the cat sat on the hill and le chien est la " * 400)[:9000]
-    want = [sum(phrases("".join(map(chr, m.alphabet.classes(text[s : s + langid.BLOCK]))), "".join(map(chr, m.alphabet.classes(SAMPLES[k])))) for s in range(0, len(text), langid.BLOCK)) for k in m.languages]
-    assert m.phrases([text, "the"])[0].tolist() == want
+    shown = lambda t: "".join(map(chr, m.alphabet.classes(t)))
+    texts = [("the cat sat on the hill and le chien est la " * 400)[:9000], "the", SAMPLES["aa"] * 20, "", "qq 漢字 x " * 300]
+    want = [[phrases(shown(t), shown(SAMPLES[k])) for k in m.languages] for t in texts]
+    assert m.phrases(texts).tolist() == want
+    assert [m._in_order(m.alphabet.classes(t)) for t in texts] == want
 
 
 def test_held_out_accuracy(spark):
