@@ -8,6 +8,7 @@ rows, cumulative segment lengths and positions that start again with each piece.
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -21,6 +22,8 @@ from codeprov.llm.common import parts_for, slices
 LENGTH = 2048
 #: Bytes of text for which there is one shard.
 SHARD_BYTES = 8 << 20
+#: Rows of one id in a task that go to the same shard; further ones, if alike, to another.
+ALIKE = 64
 
 
 class Capacities:
@@ -78,25 +81,30 @@ def best_fit_decreasing(sizes: list[int], length: int) -> list[list[int]]:
 
 
 def pieces(docs: DataFrame, length: int = LENGTH, path: str | None = None, pattern: str | None = None) -> DataFrame:
-    """doc_id, piece (from 0), start (in tokens) and tokens (16-bit little-endian where ids fit, else 32-bit)."""
+    """doc_id, piece (from 0), start (in tokens), tokens (16-bit little-endian where ids fit, else 32-bit) and salt.
+
+    ``salt`` counts the rows of one id in a task by ``ALIKE``, so that very many equal rows do not meet in one shard.
+    """
     shared = bpe.share(docs.sparkSession, path, pattern)
     width = "<u2" if max((r for _, r in shared.value[0]), default=0) < 1 << 16 else "<u4"
     size = np.dtype(width).itemsize
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = bpe.codec(shared)
+        c, seen = bpe.codec(shared), Counter()
         for b in slices(batches):
-            owner, number, start, tokens = [], [], [], []
-            for i, t in enumerate(b.column("text").to_pylist()):
+            owner, number, start, tokens, salt = [], [], [], [], []
+            for i, (doc, t) in enumerate(zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), strict=True)):
+                seen[doc] += 1
                 ids = np.frombuffer(c.encode(t or ""), "<u4").astype(width).tobytes()
                 for k, at in enumerate(range(0, len(ids), length * size)):
                     owner.append(i)
                     number.append(k)
                     start.append(k * length)
                     tokens.append(ids[at : at + length * size])
-            yield pa.RecordBatch.from_arrays([b.column("doc_id").take(pa.array(owner, pa.int64())), pa.array(number, pa.int32()), pa.array(start, pa.int64()), pa.array(tokens, pa.binary())], names=["doc_id", "piece", "start", "tokens"])
+                    salt.append((seen[doc] - 1) // ALIKE)
+            yield pa.RecordBatch.from_arrays([b.column("doc_id").take(pa.array(owner, pa.int64())), pa.array(number, pa.int32()), pa.array(start, pa.int64()), pa.array(tokens, pa.binary()), pa.array(salt, pa.int32())], names=["doc_id", "piece", "start", "tokens", "salt"])
 
-    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(work, "doc_id long, piece int, start long, tokens binary")
+    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(work, "doc_id long, piece int, start long, tokens binary, salt int")
     return out.withColumn("width", F.lit(size))
 
 
@@ -118,11 +126,13 @@ def pack(docs: DataFrame, length: int = LENGTH, pad_id: int = 0, shard_bytes: in
     n_tokens), position_ids (from 0 in each piece; in the padding too), and the pieces' doc_ids and starts.
     Ids and positions are matrix rows: little-endian 32-bit integers in a binary (``row_of`` reads one).
 
-    Null and empty texts have no token and so no piece. Repeated rows are packed each. The result depends
-    on the rows alone, not on how they are spread. An empty table gives an empty result.
+    Null and empty texts have no token and so no piece. Very long texts are cut without loss. Repeated rows are
+    packed each; up to ``ALIKE`` rows of an id in a task, the result depends on the rows alone and not on how they
+    are spread. Extra columns are ignored, also where they bear the name of a result. An empty table gives an
+    empty result.
     """
     shards = parts_for(docs, "text", shard_bytes)
-    src = pieces(docs, length, path, pattern).withColumn("shard", F.pmod(F.xxhash64("doc_id", "piece", "tokens"), F.lit(shards)).cast("int"))
+    src = pieces(docs, length, path, pattern).withColumn("shard", F.pmod(F.xxhash64("doc_id", "piece", "tokens", "salt"), F.lit(shards)).cast("int"))
 
     def work(key, group):
         order = group.sort_by([("doc_id", "ascending"), ("start", "ascending"), ("tokens", "ascending")])

@@ -6,8 +6,9 @@ score it, and bounded-entity dynamic programming chooses boundaries and kinds to
 from the conditional likelihood (forward-backward over segments) of labels that the patterns do not
 decide: base spans with what decides them taken away (the plus, the check digit, the dots of the domain),
 and segments after a word that names their kind. The sample of zones is bounded and drawn for each kind.
-What looks like such a label but has none is left out, not a counterexample. Segments that the model
-chooses beside the base spans are added to them.
+What looks like such a label but has none is left out, not a counterexample. Decoding is joint with the base
+spans held fixed: the model scores whole segments and has no transitions, so the best segmentation of a zone
+that contains them is they and the best segmentation of what they leave, which is what is searched.
 """
 
 from __future__ import annotations
@@ -398,7 +399,9 @@ def fit(docs: DataFrame, zones: int = SAMPLE_ZONES) -> dict[str, float]:
 def detect(docs: DataFrame, weights: dict[str, float] | None = None, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """``keep`` columns, ``base`` and ``found``: arrays of (start, kind, end) for every row.
 
-    A null text counts as empty. An empty table gives an empty result (and learns nothing).
+    A null text counts as empty; very long texts are searched whole, repeated rows give repeated rows. Columns
+    beside ``keep`` are ignored, also where they bear the name of a result. Ties leave tokens outside of spans. An
+    empty table gives an empty result (and learns nothing).
     """
     weights = fit(docs) if weights is None else weights
     named = {c: f"_k{i}" for i, c in enumerate(keep)}
@@ -425,7 +428,10 @@ def digest(found: DataFrame) -> DataFrame:
 
 
 def redact(docs: DataFrame, weights: dict[str, float] | None = None) -> DataFrame:
-    """``docs`` with each span of ``text`` replaced by its kind in brackets; a null text stays null."""
+    """``docs`` with each span of ``text`` replaced by its kind in brackets; a null text stays null.
+
+    All other columns stay, repeated rows too; an empty table gives an empty result.
+    """
     weights = fit(docs) if weights is None else weights
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

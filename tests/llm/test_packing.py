@@ -52,3 +52,10 @@ def test_edges(spark):
     assert sum(len(r.doc_ids) for r in got) == 2 + sum(1 for r in got for x in r.doc_ids if x is None)
     assert sum(r.n_tokens for r in got) == bpe.encode(d).selectExpr("sum(n_tokens)").first()[0]
     assert packing.pack(d.limit(0)).count() == 0
+
+
+def test_equal_rows_are_spread(spark):
+    d = spark.createDataFrame([(None, "one two three")] * 1000, "doc_id long, text string").coalesce(1)
+    salts = {r.salt for r in packing.pieces(d).collect()}
+    assert salts == set(range(-(-1000 // packing.ALIKE)))
+    assert sum(len(r.doc_ids) for r in packing.pack(d).collect()) == 1000
