@@ -26,8 +26,8 @@ from pyspark.sql import functions as F
 from codeprov.llm.common import resident, slices
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-#: Pre-tokens that a worker keeps, twice: about 200 bytes each, so at most some 100 MB.
-KEPT = 250_000
+#: Pre-tokens that a worker keeps, twice: about 200 bytes each, so at most some 180 MB.
+KEPT = 450_000
 #: Longer pre-tokens are never kept.
 KEPT_LENGTH = 64
 
@@ -130,7 +130,7 @@ def read_ranks(spark, path: str) -> list[tuple[bytes, int]]:
 class Codec:
     """Encoder and decoder over ``(bytes, rank)`` rows; ``pattern`` cuts a text into pre-tokens."""
 
-    def __init__(self, ranks: list[tuple[bytes, int]], pattern: str) -> None:
+    def __init__(self, ranks: list[tuple[bytes, int]], pattern: str, kept: int | None = None) -> None:
         self.wide, self.narrow = regex.compile(pattern).findall, narrow(pattern)
         self.bytes_of = {r: b for b, r in ranks}
         self.hash = PerfectHash([b for b, _ in ranks])
@@ -139,7 +139,10 @@ class Codec:
         self.byte_ids = [rank_of[bytes([i])] for i in range(256)]
         #: Rank of the token that two adjacent tokens make, by both ids in one integer.
         self.pairs = {rank_of[b[:i]] << 32 | rank_of[b[i:]]: r for b, r in ranks for i in range(1, len(b)) if b[:i] in rank_of and b[i:] in rank_of}
-        self.known = _Kept(self._piece, KEPT)
+        pair = lambda a, b: self.pairs.get(self.byte_ids[a] << 32 | self.byte_ids[b])
+        #: The same of two bytes, by both in one integer.
+        self.of_bytes = [pair(a, b) for a in range(256) for b in range(256)]
+        self.known = _Kept(self._piece, kept or KEPT)
 
     def cut(self, text: str) -> list[str]:
         """The pre-tokens of a text, in order."""
@@ -161,9 +164,13 @@ class Codec:
 
     def merge(self, raw: bytes) -> list[int]:
         """Ids of a pre-token: pairs leave a heap by (rank, place); one that is no longer there is passed over."""
-        ids = [self.byte_ids[b] for b in raw]
-        n, get, push, pop = len(ids), self.pairs.get, heapq.heappush, heapq.heappop
-        heap = [r << 40 | i for i, x in enumerate(zip(ids, ids[1:], strict=False)) if (r := get(x[0] << 32 | x[1])) is not None]
+        ids, n, first, heap = [self.byte_ids[b] for b in raw], len(raw), self.of_bytes, []
+        get, push, pop = self.pairs.get, heapq.heappush, heapq.heappop
+        before = 0
+        for i, b in enumerate(raw):
+            if i and (r := first[before << 8 | b]) is not None:
+                heap.append(r << 40 | i - 1)
+            before = b
         if not heap:
             return ids
         heapq.heapify(heap)
@@ -203,12 +210,12 @@ class Codec:
 
 
 def codec(shared) -> Codec:
-    """The worker's codec of a broadcast ``(ranks, pattern, name)``."""
-    ranks, pattern, name = shared.value
-    return resident(("bpe", name), lambda: Codec(ranks, pattern))
+    """The worker's codec of a broadcast ``(ranks, pattern, kept, name)``."""
+    ranks, pattern, kept, name = shared.value
+    return resident(("bpe", name, kept), lambda: Codec(ranks, pattern, kept))
 
 
-def share(spark, path: str | None = None, pattern: str | None = None):
+def share(spark, path: str | None = None, pattern: str | None = None, kept: int = KEPT):
     """A broadcast of the vocabulary file (a fixed public file of about a megabyte)."""
     if path is None or pattern is None:
         import public_tokenizers
@@ -216,18 +223,18 @@ def share(spark, path: str | None = None, pattern: str | None = None):
         path, pattern = path or public_tokenizers.path(VOCABULARY), pattern or public_tokenizers.PATTERN
     ranks = read_ranks(spark, path)
     name = hashlib.sha256(repr((ranks, pattern)).encode()).hexdigest()
-    return spark.sparkContext.broadcast((ranks, pattern, name))
+    return spark.sparkContext.broadcast((ranks, pattern, kept, name))
 
 
-def encode(docs: DataFrame, path: str | None = None, pattern: str | None = None, keep: tuple[str, ...] = ("doc_id",), as_binary: bool = False) -> DataFrame:
+def encode(docs: DataFrame, path: str | None = None, pattern: str | None = None, keep: tuple[str, ...] = ("doc_id",), as_binary: bool = False, kept: int = KEPT) -> DataFrame:
     """``keep`` columns, ``ids`` (array<int>, or little-endian 32-bit binary), n_tokens and both digests.
 
     A null text counts as empty: no tokens. Every row is encoded whole, however long, decoded again from its
     ids, and the hash of the decoded bytes is returned. Repeated rows give repeated rows, in no set order. Extra
     columns are ignored, also where they bear the name of a result; ``keep`` columns must not. An empty table
-    gives an empty result.
+    gives an empty result. ``kept`` pre-tokens, or twice as many, stay in a worker's memory.
     """
-    shared = share(docs.sparkSession, path, pattern)
+    shared = share(docs.sparkSession, path, pattern, kept)
     named = {c: f"_k{i}" for i, c in enumerate(keep)}
     src = docs.select(*(F.col(c).alias(n) for c, n in named.items()), "text")
     schema = src.drop("text").schema
