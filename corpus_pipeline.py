@@ -15,11 +15,16 @@ from pyspark.sql import functions as F
 from codeprov.llm import bpe, decontaminate, langid, pii, simhash
 from codeprov.llm.common import cut_lineage, held_out, table
 
+#: Pre-tokens that a worker keeps, fewer than by default: the other stages' models and pages are still in memory.
+KEPT = 250_000
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a letter in any language (null texts too) go; the others stay as they are."""
+    """Documents without a letter in any language (null texts too) go; the others stay as they are.
+
+    Repeated rows stay repeated, very long texts are read whole, ties go to the language that sorts first.
+    """
     samples = langid.fit(docs.where(~held_out(3, 1)).select("text", "lang"))
     marked = langid.predict(docs, samples, tuple(c for c in docs.columns if c != "text") + ("text",))
     return marked.where("lang_pred <> 'und'" if samples else "text RLIKE '\\\\p{L}'").select(*docs.columns)
@@ -39,20 +44,26 @@ def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents go of which a twentieth or more lies inside 13-word windows of benchmark items."""
+    """Documents go of which a twentieth or more lies inside 13-word windows of benchmark items.
+
+    Null and wordless texts hold none and stay, as does everything if there are no items; repeated rows are judged each.
+    """
     found = decontaminate.contamination(docs, table(spark, sf_dir, "benchmark"), keep=docs.columns)
     return found.where("NOT contaminated").select(*docs.columns)
 
 
 def personal_data_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every span of personal data is replaced by its kind; n_chars follows the text."""
+    """Every span of personal data is replaced by its kind; n_chars follows the text.
+
+    A null text stays null (and its n_chars becomes null); rows are neither dropped nor merged.
+    """
     out = pii.redact(docs)
     return out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else out
 
 
 def token_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of every text, with digests of the ids and of the bytes decoded from them."""
-    return bpe.encode(docs, keep=tuple(c for c in ("doc_id", "lang", "source") if c in docs.columns))
+    """Token ids of every text, with digests of the ids and of the bytes decoded from them; no token for a null text."""
+    return bpe.encode(docs, keep=tuple(c for c in ("doc_id", "lang", "source") if c in docs.columns), kept=KEPT)
 
 
 STAGES = [
