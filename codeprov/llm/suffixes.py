@@ -120,7 +120,8 @@ def kept_suffixes(texts: list[str], words: int, gram: int) -> tuple[np.ndarray,
     at, row = place[starts], owner[starts]
     first, after = runs(at)
     out = np.zeros(len(first), _KEPT)
-    out["at"], out["row"], out["key"] = at[first], row[first], key[at[first]]
+    # Least hashes are small ones; mixed again, the keys are even over all ranges.
+    out["at"], out["row"], out["key"] = at[first], row[first], _mix(key[at[first]] + _BASE)
     out["most"], out["least"] = at[first] - starts[first], at[first] - starts[after - 1]
     return counts, out
 
