@@ -93,7 +93,7 @@ def parse(names: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]
 
 
 def fingerprints(texts: list[str]) -> np.ndarray:
-    """A row of 16-bit values for each text: in each bin 1 + the least value of the names there, 0 if there is none."""
+    """A row of 31-bit values for each text: in each bin 1 + the least value of the names there, 0 if there is none."""
     out = np.zeros((len(texts), BINS), dtype=np.uint32)
     full = [i for i, t in enumerate(texts) if t]
     if not full:
@@ -112,7 +112,7 @@ def fingerprints(texts: list[str]) -> np.ndarray:
             own = owner[np.cumsum(first) - 1]
             h = _mix(names ^ _WEIGHTS[level])
             cell = own * BINS + at + (h % _U(bins)).astype(np.int64)
-            value = (h >> _U(48)).astype(np.uint32) + 1
+            value = (h >> _U(33)).astype(np.uint32) + np.uint32(1)
             order = np.lexsort((value, cell))
             cells, where = np.unique(cell[order], return_index=True)
             out.reshape(-1)[cells] = value[order][where]
@@ -129,12 +129,12 @@ def likeness(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 def shown(prints: np.ndarray) -> list[str]:
-    """Hexadecimal, five digits for each bin."""
-    return ["".join(f"{v:05x}" for v in row) for row in prints.tolist()]
+    """Hexadecimal, eight digits for each bin."""
+    return ["".join(f"{v:08x}" for v in row) for row in prints.tolist()]
 
 
 def likeness_of(a: str, b: str) -> float:
-    read = lambda s: np.array([[int(s[i : i + 5], 16) for i in range(0, len(s), 5)]])
+    read = lambda s: np.array([[int(s[i : i + 8], 16) for i in range(0, len(s), 8)]])
     return float(likeness(read(a), read(b))[0])
 
 

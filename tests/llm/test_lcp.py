@@ -62,3 +62,11 @@ def test_edges(spark):
     got = lcp.compare_with_edits(spark.createDataFrame(rows, schema)).collect()
     assert len(got) == 5 and len({r.fingerprint for r in got if r.doc_id == 2}) == 1
     assert lcp.compare_with_edits(one.limit(0)).count() == 0
+
+
+def test_long_texts_without_common_parts_stay_apart():
+    rng = np.random.default_rng(3)
+    texts = ["".join(map(chr, rng.integers(97, 123, 3_000_000))) for _ in range(2)]
+    prints = lcp.fingerprints(texts)
+    assert lcp.likeness(prints[:1], prints[1:])[0] < 0.05
+    assert lcp.likeness_of(*lcp.shown(prints)) == lcp.likeness(prints[:1], prints[1:])[0]
