@@ -28,6 +28,11 @@ def fp(findings: DataFrame, truth: DataFrame, restrict: bool = True, tol: int =
     return wrong.join(sets, ["unit_id", "category"], "left_semi")
 
 
+def once(findings: DataFrame) -> DataFrame:
+    """One finding of each rule at each line of a unit, the repeated reports left out."""
+    return findings.dropDuplicates(["unit_id", "rule_id", "line"])
+
+
 def mismatch(findings: DataFrame, truth: DataFrame, tol: int = 0) -> DataFrame:
     """Findings in a unit labelled with their category, but at another line."""
     return fp(findings, truth, True, tol)

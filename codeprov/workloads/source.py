@@ -47,6 +47,9 @@ def w25(spark, sf):
         "full": local.evaluate_units(units),
         "no mitigations": local.evaluate_units(units, use_mitigations=False),
         "no relevancy": local.evaluate_units(units, use_relevancy=False),
+        "no wrappers": local.evaluate_units(units, infer=False),
+        "no copies": local.evaluate_units(units, expand=False),
+        "no extra flow": local.evaluate_units(units, indirect_flow=False),
         "no wrappers, copies or extra flow": local.evaluate_units(units, infer=False, expand=False, indirect_flow=False),
         "lexical": lexical.scan(units),
     }
@@ -62,6 +65,37 @@ def w25(spark, sf):
     return reduce(DataFrame.unionByName, out)
 
 
+def _reports(spark, sf) -> tuple[DataFrame, DataFrame]:
+    """Findings of a scripted tool with the cause of each, and the labels: it errs by the unit's number.
+
+    A label of every fifth unit is reported a line too far, of every seventh unit twice, of every eleventh unit
+    not at all; every third program without a weakness is reported for the one that it mitigates.
+    """
+    units = cut_lineage(_units(spark, sf).select("unit_id", "rule_id", "category", "weak", "line"))
+    n = F.col("unit_id")
+    weak, safe = F.expr("weak AND line > 0"), F.expr("NOT weak AND unit_id % 3 = 0")
+    reports = units.where((weak & (n % 11 != 0)) | safe)
+    reports = reports.withColumn("cause", F.when(safe, "mitigated").when(n % 5 == 0, "other line").when(n % 7 == 0, "repeated"))
+    line = F.when(F.col("cause") == "other line", F.col("line") + 1).when(F.col("cause") == "mitigated", 1).otherwise(F.col("line"))
+    times = F.array_repeat(F.lit(0), F.when(n % 7 == 0, 2).otherwise(1))
+    return reports.select("unit_id", "rule_id", "category", line.alias("line"), "cause", F.explode(times).alias("_")).drop("_"), _truth(units)
+
+
+def m2(spark, sf):
+    """Measures of a scripted tool: restricted and unrestricted wrong reports, with and without repeats, misses, other lines."""
+    found, truth = (cut_lineage(d) for d in _reports(spark, sf))
+    single = confusion.once(found)
+    counts = {"labels": truth, "reports": found, "reports_once": single, "tp": confusion.tp(found, truth), "missed": confusion.fn(found, truth), "fp": confusion.fp(found, truth), "fp_once": confusion.fp(single, truth), "fp_anywhere": confusion.fp(found, truth, False), "other_line": confusion.mismatch(single, truth)}
+    rows = reduce(DataFrame.unionByName, [d.select("category", F.lit(k).alias("k")) for k, d in counts.items()])
+    return rows.groupBy("category").agg(*(F.count_if(F.col("k") == k).alias(k) for k in counts))
+
+
+def s23(spark, sf):
+    """Wrong reports of the scripted tool, and repeats of right ones, by category and cause."""
+    found, _ = _reports(spark, sf)
+    return review.causes(found.where("cause IS NOT NULL"))
+
+
 def w25_published(spark, sf):
     p = published.analysers(spark)
     total = p.groupBy("tool").agg(*(F.sum(c).alias(c) for c in ("labels", "tp", "fp"))).withColumn("category", F.lit("total"))
@@ -153,6 +187,14 @@ def _expected() -> str:
     return f"(VALUES {', '.join(rows)}) AS x(template, mutation, rule_id, category, line)"
 
 
+def _scripted() -> str:
+    rows = []
+    for i, t in enumerate(T.TEMPLATES):
+        rows += [f"({i}, {m}, {t.weak}, '{t.category}', {T.weak_line(T.render(i, m)) if t.weak else 0})" for m in range(len(T.MUTATIONS))]
+    return f"""u AS (SELECT p_partkey AS id, weak, category, line FROM part JOIN (VALUES {', '.join(rows)}) AS x(template, mutation, weak, category, line) ON p_partkey % {len(T.TEMPLATES)} = template AND coalesce(p_size, 0) % 6 = mutation),
+r AS (SELECT id, category, CASE WHEN NOT weak THEN 'mitigated' WHEN id % 5 = 0 THEN 'other line' WHEN id % 7 = 0 THEN 'repeated' END AS cause, CASE WHEN id % 7 = 0 THEN 2 ELSE 1 END AS n FROM u WHERE CASE WHEN weak THEN id % 11 <> 0 ELSE id % 3 = 0 END)"""
+
+
 _PUBLISHED = " UNION ALL ".join(f"SELECT '{t}' AS tool, '{c}' AS category, {n}::BIGINT AS labels, {x.split('/')[0]}::BIGINT AS tp, {x.split('/')[1]}::BIGINT AS fp" for c, (n, cells) in published.ANALYSERS.items() for t, x in zip(published.TOOLS, cells.split(), strict=True))
 
 QUERIES = {
@@ -162,6 +204,8 @@ QUERIES = {
     "W25_rule_by_tool_table": w25,
     "W25_published_rates": w25_published,
     "W25_published_coverage": w25_coverage,
+    "M2_wrong_reports": m2,
+    "S23_fp_causes": s23,
     "W26_functions_statements": w26,
     "W27_parse_gain": w27,
     "W28_reuse_study": w28,
@@ -170,6 +214,10 @@ QUERIES = {
     "W30_labelled_table": w30_labels,
 }
 SQL = {
+    "M2_wrong_reports": f"""WITH {_scripted()}, a AS (SELECT category, count(*) FILTER (weak) AS labels, count(*) FILTER (weak AND id % 5 <> 0 AND id % 11 <> 0) AS tp FROM u GROUP BY category),
+b AS (SELECT category, sum(n)::BIGINT AS reports, count(*) AS reports_once, coalesce(sum(n) FILTER (cause = 'other line'), 0)::BIGINT AS fp, count(*) FILTER (cause = 'other line') AS fp_once, coalesce(sum(n) FILTER (cause IN ('other line', 'mitigated')), 0)::BIGINT AS fp_anywhere FROM r GROUP BY category)
+SELECT category, labels, reports, reports_once, tp, labels - tp AS missed, fp, fp_once, fp_anywhere, fp_once AS other_line FROM a JOIN b USING (category)""",
+    "S23_fp_causes": f"WITH {_scripted()} SELECT category, cause, sum(n)::BIGINT AS n FROM r WHERE cause IS NOT NULL GROUP BY ALL",
     "W08_published_totals": "SELECT tool, sum(tp)::BIGINT AS tp, sum(fp)::BIGINT AS fp, round(sum(tp) / (sum(tp) + sum(fp)), 4) AS prec FROM (" + " UNION ALL ".join(f"SELECT '{t}' AS tool, {x.split('/')[0]} AS tp, {x.split('/')[1]} AS fp" for cells in published.CLONES.values() for t, x in zip(("embedding", "clone finder"), cells.split(), strict=True)) + ") GROUP BY tool",
     "W24_rule_findings": f"SELECT p_partkey AS unit_id, rule_id, category, line::BIGINT AS line FROM part JOIN {_expected()} ON p_partkey % {len(T.TEMPLATES)} = template AND p_size % 6 = mutation",
     "W25_published_rates": f"WITH p AS ({_PUBLISHED}), a AS (SELECT * FROM p UNION ALL SELECT tool, 'total', sum(labels)::BIGINT, sum(tp)::BIGINT, sum(fp)::BIGINT FROM p GROUP BY tool) SELECT *, round(tp / nullif(tp + fp, 0), 6) AS prec, round(tp / nullif(labels, 0), 6) AS rec FROM a",

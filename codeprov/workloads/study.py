@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -150,6 +152,36 @@ def w21(spark, sf):
     return limits.join(r, F.col("hops") <= F.col("max_hops"), "left").groupBy("max_hops").agg(F.count("src").alias("pairs"))
 
 
+def k18(spark, sf):
+    """Signups whose data reach a purchase through an error of the same user."""
+    nodes, edges = event_graph(spark, sf)
+    edges = cut_lineage(edges)
+    return pattern.on_path(edges, "DFG", _base(nodes, edges, None), _typed(nodes, "error")).select(F.col("unit_id").alias("user_id"), "src", "dst")
+
+
+def k19(spark, sf):
+    """Last events of users; an error there takes the place of a rollback."""
+    nodes, edges = event_graph(spark, sf)
+    labelled = nodes.withColumn("labels", F.when(F.col("event_type") == "error", F.array(F.lit("Rollback"))).otherwise(F.array(F.col("event_type"))))
+    kept = pattern.exits(labelled, edges).withColumn("persisting", F.lit(True))
+    return pattern.exits(labelled, edges, persisting=False).join(kept, ["unit_id", "node_id"], "left").select(F.col("unit_id").alias("user_id"), F.col("node_id").alias("event_id"), F.coalesce("persisting", F.lit(False)).alias("persisting"))
+
+
+def m15(spark, sf):
+    """Snippets with clones, and the share with a clone among documents labelled of low quality."""
+    low = table(spark, sf, "labels").where("quality = 0").select(F.col("doc_id").alias("unit_id"), F.lit(True).alias("low")).distinct()
+    found = _matches(spark, sf).join(low, "unit_id", "left")
+    return funnel.validated_share(found.select("snippet_id", F.coalesce("low", F.lit(False)).alias("validated")))
+
+
+def s27(spark, sf):
+    """Links of each class before and after equal texts are taken once."""
+    c = cut_lineage(temporal.with_class(_matches(spark, sf)))
+    classes = {"all": c, "disseminator": c.where("is_disseminator AND later"), "source": c.where("is_source")}
+    rows = [funnel.candidates(d.select("unit_id", "code_hash").distinct()).select(F.lit(k).alias("class"), "units", "codes") for k, d in classes.items()]
+    return reduce(DataFrame.unionByName, rows)
+
+
 BUDGET, SCHEDULE = 40, (16, 8, 4, 2)
 
 
@@ -210,6 +242,10 @@ QUERIES = {
     "W21_reach_bounded": w21,
     "W22_two_phase": w22,
     "W23_star_graph": w23,
+    "K18_on_path": k18,
+    "K19_exits": k19,
+    "M15_validated_share": m15,
+    "S27_candidate_codes": s27,
 }
 SQL = {
     "W13_collection_funnel": f"""WITH b AS (SELECT page_id, {_SITE} AS site, unnest(list_concat(regexp_extract_all(html, {_CUTS}, 1), CASE WHEN len(regexp_extract_all(html, {_CUTS}, 1)) = 0 THEN [NULL] ELSE [] END)) AS b FROM pages),
@@ -232,4 +268,8 @@ c AS (SELECT u.unit_id, phase, h, count(t.src) AS cost FROM u CROSS JOIN p LEFT
 w AS (SELECT unit_id, min(phase) AS phase, max(h) AS h FROM c WHERE cost <= {BUDGET} GROUP BY ALL)
 SELECT u.unit_id AS user_id, w.phase::BIGINT AS phase, CASE WHEN w.phase IS NULL THEN 'budget_exceeded' ELSE 'ok' END AS status, (SELECT count(*) FROM f JOIN t USING (unit_id, src, dst) WHERE f.unit_id = u.unit_id AND t.hops <= w.h) AS findings FROM u LEFT JOIN w USING (unit_id)""",
     "W23_star_graph": "SELECT c_custkey AS custkey, s_suppkey AS suppkey, count(*) AS paths FROM customer JOIN orders ON o_custkey = c_custkey JOIN lineitem ON l_orderkey = o_orderkey JOIN supplier ON s_suppkey = l_suppkey AND s_nationkey = c_nationkey GROUP BY ALL HAVING NOT bool_or(l_returnflag = 'R')",
+    "K18_on_path": f"WITH RECURSIVE {_RULE}, g(src, dst) AS (SELECT d.src, d.dst FROM dfg d JOIN e ON e.node_id = d.src WHERE event_type = 'error' UNION SELECT g.src, d.dst FROM g JOIN dfg d ON d.src = g.dst) SELECT DISTINCT base.unit_id AS user_id, base.src, base.dst FROM base JOIN r ON r.src = base.src JOIN e ON e.node_id = r.dst AND e.event_type = 'error' JOIN g ON g.src = r.dst AND g.dst = base.dst",
+    "K19_exits": "SELECT user_id, event_id, event_type <> 'error' AS persisting FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, event_id DESC) AS k FROM events) WHERE k = 1",
+    "M15_validated_share": f"WITH {_matches_sql()}, v AS (SELECT item_id, bool_or(doc_id IN (SELECT doc_id FROM labels WHERE quality = 0)) AS v FROM m GROUP BY item_id) SELECT count(*) AS candidates, count(*) FILTER (v) AS validated, round(count(*) FILTER (v) / nullif(count(*), 0), 6) AS share FROM v",
+    "S27_candidate_codes": f"WITH {_matches_sql()}, j AS (SELECT doc_id, h, n_after > 0 AND deployed > m.posted AS d, first_unit > m.posted AS s FROM m JOIN k USING (item_id)) SELECT 'all' AS class, count(DISTINCT doc_id) AS units, count(DISTINCT h) AS codes FROM j UNION ALL SELECT 'disseminator', count(DISTINCT doc_id), count(DISTINCT h) FROM j WHERE d UNION ALL SELECT 'source', count(DISTINCT doc_id), count(DISTINCT h) FROM j WHERE s",
 }
