@@ -27,15 +27,28 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share: ``spark.checkpoint.dir``, or the checkpoint folder already set.
+
+    Where neither is set, a temporary folder on one machine (tests), and an error on a cluster, whose executors
+    would not see it.
+    """
+    context = spark.sparkContext
+    at = context._jsc.sc().getCheckpointDir()
+    place = spark.conf.get("spark.checkpoint.dir", None) or (at.get() if at.isDefined() else None)
+    if place is None:
+        if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+            raise RuntimeError("spark.checkpoint.dir names no folder shared by driver and executors")
+        place = tempfile.mkdtemp(prefix="codeprov-")
+    return place.rstrip("/")
+
+
 def cut_lineage(df: DataFrame) -> DataFrame:
     """``df`` written once and read back, so that losing an executor costs no recomputation.
 
-    The files go to the folder of ``spark.checkpoint.dir``. Only where that is unset (tests on one
-    machine) a temporary folder is used.
+    The files go to ``shared_folder``.
     """
-    spark = df.sparkSession
-    context = spark.sparkContext
+    context = df.sparkSession.sparkContext
     if not context._jsc.sc().getCheckpointDir().isDefined():
-        place = spark.conf.get("spark.checkpoint.dir", None)
-        context.setCheckpointDir(place or tempfile.mkdtemp(prefix="codeprov-checkpoint-"))
+        context.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint(eager=True)

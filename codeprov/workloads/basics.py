@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from codeprov.operators import joins
-from codeprov.session import table
+from codeprov.session import shared_folder, table
 
 QUERIES, SQL = {}, {}
 
@@ -42,10 +41,9 @@ def scan_parquet(spark, sf):
 
 def _round_trip(spark, df: DataFrame, kind: str, **options) -> DataFrame:
     """Written to the shared folder if there is one, and read again with the schema known."""
-    place = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="codeprov-")
     import uuid
 
-    path = f"{place.rstrip('/')}/{kind}-{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/{kind}-{uuid.uuid4().hex}"
     df.write.format(kind).options(**options).save(path)
     return spark.read.schema(df.schema).options(**options).format(kind).load(path)
 
@@ -77,8 +75,7 @@ def scan_rows(spark, sf):
 def sink_roundtrip(spark, sf):
     import uuid
 
-    place = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="codeprov-")
-    path = f"{place.rstrip('/')}/by-year-{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/by-year-{uuid.uuid4().hex}"
     orders(spark, sf).select("o_orderkey", "o_totalprice", F.year("o_orderdate").alias("y")).repartition("y").sortWithinPartitions("o_orderkey").write.partitionBy("y").parquet(path)
     return spark.read.parquet(path).groupBy(F.col("y").cast("long").alias("y")).agg(F.count("*").alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
 

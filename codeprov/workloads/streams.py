@@ -45,6 +45,35 @@ def chain(spark, sf):
     return replay.run(state.chains(replay.events(spark, sf)), "update")
 
 
+#: Days after the first event at which a further part of the events has arrived.
+ARRIVALS = (10, 20)
+
+
+def _arrivals(spark, sf):
+    """Events in order of time in three parts; every fiftieth comes last, after all others."""
+    e = table(spark, sf, "events")
+    since = F.datediff("ts", F.lit(e.agg(F.min("ts")).first()[0]))
+    part = F.when(F.col("event_id") % 50 == 0, len(ARRIVALS) + 1).otherwise(sum((F.when(since >= d, 1).otherwise(0) for d in ARRIVALS), F.lit(0)))
+    return [e.where(F.coalesce(part, F.lit(0)) == k) for k in range(len(ARRIVALS) + 2)]
+
+
+def late(spark, sf):
+    """Hours as the stream counted them (the newest count of each), as a batch counts them, and rows that came too late."""
+    log = replay.arrive(_arrivals(spark, sf), windows.tumbling, "update")
+    stream = replay.newest(log, ["window_start", "event_type"])
+    batch = windows.tumbling(table(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))).withColumnRenamed("n", "n_all")
+    both = batch.join(stream, ["window_start", "event_type"], "left").na.fill(0, ["n"])
+    return _micros(both.select("window_start", "event_type", "n_all", F.col("n").alias("n_stream"), (F.col("n_all") - F.col("n")).alias("n_late")), "window_start")
+
+
+def similar(spark, sf):
+    """Alerts of documents that arrive in three parts, by their text against the items."""
+    d = table(spark, sf, "documents").select("doc_id", "text")
+    parts = [d.where(F.coalesce(F.pmod("doc_id", F.lit(3)), F.lit(0)) == k) for k in range(3)]
+    log = replay.arrive(parts, lambda s: s, "append", watch.similar(clones._items(spark, sf), "doc_id"), watermark=None)
+    return log.select(F.col("query_id").alias("item_id"), F.col("target_id").alias("doc_id"), F.round("score", 6).alias("score"))
+
+
 QUERIES = {
     "W33_stream_watch": w33,
     "ST3_tumbling": tumbling,
@@ -53,8 +82,12 @@ QUERIES = {
     "ST5_dedup": dedup,
     "ST7_stream_join": followed,
     "ST8_state": chain,
+    "ST9_late_rows": late,
+    "ST6_similar_on_arrival": similar,
 }
 SQL = {
+    "ST9_late_rows": "WITH w AS (SELECT max(ts) - INTERVAL 1 HOUR AS mark FROM events WHERE event_id % 50 <> 0), c AS (SELECT date_trunc('hour', ts) AS h, event_type, count(*) AS n_all, count(*) FILTER (event_id % 50 = 0 AND date_trunc('hour', ts) + INTERVAL 1 HOUR <= mark) AS n_late FROM events, w WHERE ts IS NOT NULL GROUP BY ALL) SELECT epoch_us(h)::BIGINT AS window_start, event_type, n_all, n_all - n_late AS n_stream, n_late FROM c",
+    "ST6_similar_on_arrival": f"WITH {clones.prints('q', 'benchmark', 'item_id')}, {clones.prints('t', 'documents', 'doc_id')}, {clones.grams('qg', 'q', 3)}, {clones.grams('tg', 't', 3)}, {clones.shared('c', 'qg', 'tg', 0.5)}, {clones.scores('s', 'c', 'q', 't')} SELECT query_id AS item_id, target_id AS doc_id, round(score, 6) AS score FROM s WHERE score >= 70",
     "W33_stream_watch": f"WITH {clones.prints('q', 'benchmark', 'item_id')}, {clones.prints('t', 'documents', 'doc_id')}, {clones.grams('qg', 'q', 3)}, {clones.grams('tg', 't', 3)}, {clones.shared('c', 'qg', 'tg', 0.5)}, {clones.scores('s', 'c', 'q', 't')} SELECT epoch_us(date_trunc('day', ts))::BIGINT AS window_start, count(*) AS alerts FROM events WHERE event_id IN (SELECT target_id FROM s WHERE score >= 70) GROUP BY ALL",
     "ST3_tumbling": "SELECT epoch_us(date_trunc('hour', ts))::BIGINT AS window_start, event_type, count(*) AS n FROM events GROUP BY ALL",
     "ST3_sliding": "SELECT epoch_us(date_trunc('hour', ts) - INTERVAL 1 HOUR * k)::BIGINT AS window_start, event_type, count(*) AS n FROM events, (SELECT unnest(range(6)) AS k) GROUP BY ALL",
