@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import os
-import tempfile
 from collections.abc import Iterator
 
 import numpy as np
@@ -13,6 +12,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from codeprov.session import shared_folder
+
 #: Bytes of text that an Arrow worker handles at once.
 SLICE_BYTES = 4 << 20
 #: Rows of one gathered table.
@@ -24,14 +25,10 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def cut_lineage(df: DataFrame) -> DataFrame:
-    """``df`` written once to the shared checkpoint folder and read back.
-
-    The folder is the session's; only where none is set (tests on one machine) a temporary one is used.
-    """
+    """``df`` written once to the shared checkpoint folder (``shared_folder``) and read back."""
     context = df.sparkSession.sparkContext
     if not context._jsc.sc().getCheckpointDir().isDefined():
-        place = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        context.setCheckpointDir(place or tempfile.mkdtemp(prefix="codeprov-checkpoint-"))
+        context.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint(eager=True)
 
 
