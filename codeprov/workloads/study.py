@@ -153,10 +153,12 @@ def w21(spark, sf):
 
 
 def k18(spark, sf):
-    """Signups whose data reach a purchase through an error of the same user."""
+    """Signups followed within eight events of the user by a purchase, with an error on the way."""
     nodes, edges = event_graph(spark, sf)
     edges = cut_lineage(edges)
-    return pattern.on_path(edges, "DFG", _base(nodes, edges, None), _typed(nodes, "error")).select(F.col("unit_id").alias("user_id"), "src", "dst")
+    ends = _typed(nodes, "purchase").withColumnRenamed("node_id", "dst")
+    pairs = closure.reach(edges, "EOG", _typed(nodes, "signup"), 8).join(ends, ["unit_id", "dst"], "left_semi")
+    return pattern.on_path(edges, "EOG", pairs, _typed(nodes, "error"), 8).select(F.col("unit_id").alias("user_id"), "src", "dst")
 
 
 def k19(spark, sf):
@@ -268,7 +270,7 @@ c AS (SELECT u.unit_id, phase, h, count(t.src) AS cost FROM u CROSS JOIN p LEFT
 w AS (SELECT unit_id, min(phase) AS phase, max(h) AS h FROM c WHERE cost <= {BUDGET} GROUP BY ALL)
 SELECT u.unit_id AS user_id, w.phase::BIGINT AS phase, CASE WHEN w.phase IS NULL THEN 'budget_exceeded' ELSE 'ok' END AS status, (SELECT count(*) FROM f JOIN t USING (unit_id, src, dst) WHERE f.unit_id = u.unit_id AND t.hops <= w.h) AS findings FROM u LEFT JOIN w USING (unit_id)""",
     "W23_star_graph": "SELECT c_custkey AS custkey, s_suppkey AS suppkey, count(*) AS paths FROM customer JOIN orders ON o_custkey = c_custkey JOIN lineitem ON l_orderkey = o_orderkey JOIN supplier ON s_suppkey = l_suppkey AND s_nationkey = c_nationkey GROUP BY ALL HAVING NOT bool_or(l_returnflag = 'R')",
-    "K18_on_path": f"WITH RECURSIVE {_RULE}, g(src, dst) AS (SELECT d.src, d.dst FROM dfg d JOIN e ON e.node_id = d.src WHERE event_type = 'error' UNION SELECT g.src, d.dst FROM g JOIN dfg d ON d.src = g.dst) SELECT DISTINCT base.unit_id AS user_id, base.src, base.dst FROM base JOIN r ON r.src = base.src JOIN e ON e.node_id = r.dst AND e.event_type = 'error' JOIN g ON g.src = r.dst AND g.dst = base.dst",
+    "K18_on_path": "WITH o AS (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM events) SELECT a.user_id, a.event_id AS src, b.event_id AS dst FROM o a JOIN o b ON a.user_id = b.user_id AND b.k > a.k AND b.k <= a.k + 8 WHERE a.event_type = 'signup' AND b.event_type = 'purchase' AND EXISTS (SELECT 1 FROM o x WHERE x.user_id = a.user_id AND x.event_type = 'error' AND x.k > a.k AND x.k < b.k)",
     "K19_exits": "SELECT user_id, event_id, event_type <> 'error' AS persisting FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, event_id DESC) AS k FROM events) WHERE k = 1",
     "M15_validated_share": f"WITH {_matches_sql()}, v AS (SELECT item_id, bool_or(doc_id IN (SELECT doc_id FROM labels WHERE quality = 0)) AS v FROM m GROUP BY item_id) SELECT count(*) AS candidates, count(*) FILTER (v) AS validated, round(count(*) FILTER (v) / nullif(count(*), 0), 6) AS share FROM v",
     "S27_candidate_codes": f"WITH {_matches_sql()}, j AS (SELECT doc_id, h, n_after > 0 AND deployed > m.posted AS d, first_unit > m.posted AS s FROM m JOIN k USING (item_id)) SELECT 'all' AS class, count(DISTINCT doc_id) AS units, count(DISTINCT h) AS codes FROM j UNION ALL SELECT 'disseminator', count(DISTINCT doc_id), count(DISTINCT h) FROM j WHERE d UNION ALL SELECT 'source', count(DISTINCT doc_id), count(DISTINCT h) FROM j WHERE s",
