@@ -1,14 +1,18 @@
-"""Every query against every target: the exact reference of candidate search, for small inputs only."""
+"""Every query against every target: the exact reference of candidate search, quadratic by nature."""
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from codeprov.clone.score import order_free
+from codeprov.operators.joins import broadcast_blocks
 
 
 def all_pairs(queries: DataFrame, targets: DataFrame, direction: str = "forward") -> DataFrame:
     q = queries.select(F.col("id").alias("query_id"), F.col("subs").alias("q"))
     t = targets.select(F.col("id").alias("target_id"), F.col("subs").alias("t"))
-    return t.crossJoin(F.broadcast(q)).select("query_id", "target_id", order_free("q", "t", direction).alias("score"))
+    pairs = reduce(DataFrame.unionByName, [t.crossJoin(block) for block in broadcast_blocks(q, "16 + length(array_join(q, '.'))")])
+    return pairs.select("query_id", "target_id", order_free("q", "t", direction).alias("score"))

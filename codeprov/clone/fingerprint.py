@@ -1,14 +1,16 @@
-"""Fingerprints: letters of tokens, a dot between functions (sentences), a colon between units (paragraphs)."""
+"""Fingerprints: letters of tokens, a dot between functions (sentences), a colon between units (lines)."""
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from codeprov.clone.fuzzyhash import hash_tokens
+from codeprov.clone.fuzzyhash import hash_tokens, part_letters
 
 #: Boundaries of sentences and of words (fixed for the queries that SQL repeats).
 PART, WORD = r"[.!?\n]+", r"[^\p{L}\p{N}]+"
+#: Boundaries of units; each is a boundary of parts too.
+UNIT = r"\n+"
 
 
 def tokens(part: Column) -> Column:
@@ -26,21 +28,32 @@ def subs(text: Column | str, variant: str = "token64") -> Column:
     c = F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit(""))
     if variant == "token64":
         return F.filter(F.transform(F.split(F.lower(c), PART), lambda p: hash_tokens(tokens(p))), lambda s: s != "")
-    from codeprov.clone.fuzzyhash import ctph, fixed7
+    return part_letters(F.transform(parts(c), tokens), variant)
 
-    one = ctph if variant == "ctph" else fixed7
 
-    @F.udf("array<string>", useArrow=True)
-    def hashed(rows):
-        return [s for s in ("".join(one(t.encode()) for t in r) for r in rows) if s]
+def build(df: DataFrame, id: str, text: str = "text", variant: str = "token64", units: bool = False) -> DataFrame:
+    """``id, subs, n_subs, fp, len``: a narrow step over two columns.
 
-    return hashed(F.transform(parts(c), tokens))
+    With ``units`` ``fp`` has colons between units in place of dots, and ``n_units`` counts those with a part.
+    """
+    out = df.select(F.col(id).alias("id"), subs(text, variant).alias("subs"), *([_unit_sizes(text).alias("_sizes")] if units else []))
+    if units:
+        out = out.withColumns({"fp": F.array_join(_units("subs", "_sizes"), ":"), "n_units": F.size("_sizes")}).drop("_sizes")
+    else:
+        out = out.withColumn("fp", F.array_join("subs", "."))
+    return out.withColumns({"n_subs": F.size("subs"), "len": F.length("fp")})
 
 
-def build(df: DataFrame, id: str, text: str = "text", variant: str = "token64") -> DataFrame:
-    """``id, subs, n_subs, fp, len``: a narrow step over two columns."""
-    out = df.select(F.col(id).alias("id"), subs(text, variant).alias("subs"))
-    return out.withColumns({"n_subs": F.size("subs"), "fp": F.array_join("subs", "."), "len": F.length(F.array_join("subs", "."))})
+def _unit_sizes(text: Column | str) -> Column:
+    """Numbers of parts of the units that have one."""
+    c = F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit(""))
+    return F.filter(F.transform(F.split(c, UNIT), lambda u: F.size(parts(u))), lambda n: n > 0)
+
+
+def _units(subs: Column | str, sizes: Column | str) -> Column:
+    """Parts of each unit, joined by dots, from the parts of all and the units' sizes."""
+    before = lambda i: F.aggregate(F.slice(sizes, F.lit(1), i), F.lit(0), lambda x, y: x + y)
+    return F.transform(sizes, lambda n, i: F.array_join(F.slice(subs, before(i) + 1, n), "."))
 
 
 def split_subs(fp: Column | str) -> Column:

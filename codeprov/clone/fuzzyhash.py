@@ -7,6 +7,8 @@ letter; ``fixed7`` cuts it every seven bytes. Both run as Arrow batches.
 
 from __future__ import annotations
 
+from functools import lru_cache
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -49,6 +51,22 @@ def ctph(data: bytes, block: int = LEAST_BLOCK) -> str:
     return "".join(out)
 
 
+@lru_cache(1 << 17)
+def letters_of(token: str, variant: str) -> str:
+    """``ctph`` or ``fixed7`` of one token; a worker keeps those it met last, as words come again and again."""
+    return (ctph if variant == "ctph" else fixed7)(token.encode())
+
+
+def part_letters(parts: Column, variant: str) -> Column:
+    """Letters of each part (an array of tokens), without parts that have none."""
+
+    @F.udf("array<string>", useArrow=True)
+    def hashed(rows):
+        return [s for s in ("".join(letters_of(t, variant) for t in r) for r in rows) if s]
+
+    return hashed(parts)
+
+
 def _arrow(function):
     @F.udf("string", useArrow=True)
     def hashed(tokens):

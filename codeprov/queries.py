@@ -6,8 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from codeprov.workloads import basics, clones, source, streams, study, variants
+from codeprov.workloads import basics, clones, hashes, source, streams, study, variants
 
 FLAGSHIP = "W01_clone_search"
-MODULES = (clones, study, source, variants, streams, basics)
+MODULES = (clones, hashes, study, source, variants, streams, basics)
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {k: q for m in MODULES for k, q in m.QUERIES.items()}

@@ -8,7 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codeprov.clone.fuzzyhash import hash_tokens
+from codeprov.clone.fuzzyhash import hash_tokens, part_letters
 from codeprov.lang import frontend, parse
 
 
@@ -33,12 +33,4 @@ def fingerprints(df: DataFrame, id: str, code: str = "code", variant: str = "tok
     parts = canonical(df, id, code, **options)
     if variant == "token64":
         return parts.select("id", F.filter(F.transform("parts", lambda p: hash_tokens(p)), lambda s: s != "").alias("subs"))
-    from codeprov.clone.fuzzyhash import ctph, fixed7
-
-    one = ctph if variant == "ctph" else fixed7
-
-    @F.udf("array<string>", useArrow=True)
-    def hashed(rows):
-        return [s for s in ("".join(one(t.encode()) for t in r) for r in rows) if s]
-
-    return parts.select("id", hashed("parts").alias("subs"))
+    return parts.select("id", part_letters("parts", variant).alias("subs"))

@@ -13,6 +13,7 @@ from codeprov.clone.fuzzyhash import ALPHABET
 from codeprov.clone.normalise import strip_layout
 from codeprov.clone.score import delta, order_free
 from codeprov.measure import confusion, cost, sweep
+from codeprov.operators.joins import broadcast_blocks
 from codeprov.session import cut_lineage, table
 
 
@@ -61,7 +62,8 @@ def w06(spark, sf):
 def _contained(spark, sf):
     items = table(spark, sf, "benchmark").where("text IS NOT NULL AND text <> ''").select(F.col("item_id").alias("query_id"), F.col("text").alias("needle"))
     docs = table(spark, sf, "documents").select(F.col("doc_id").alias("target_id"), "text")
-    return docs.join(F.broadcast(items), F.contains("text", "needle")).select("query_id", "target_id")
+    found = [docs.join(block, F.contains("text", "needle")) for block in broadcast_blocks(items, "16 + length(needle)")]
+    return reduce(DataFrame.unionByName, found).select("query_id", "target_id")
 
 
 NS, ETAS, EPSS = [2, 3, 4, 5], [0.3, 0.5, 0.7], [0.5, 0.6, 0.7, 0.8, 0.9]

@@ -1,11 +1,13 @@
 import random
 
 import pytest
-from codeprov.clone import candidates, fuzzyhash, match
+from codeprov.baselines import bruteforce
+from codeprov.clone import candidates, fingerprint, fuzzyhash, match
 from codeprov.clone.ngram import grams
 from codeprov.clone.score import delta, order_free, order_free_bounded
 from codeprov.functions import text
 from codeprov.lang import frontend
+from codeprov.operators import joins
 from pyspark.sql import functions as F
 
 
@@ -92,3 +94,20 @@ def test_prefix_equals_plain_for_each_rounding(spark, rounding):
     t = spark.createDataFrame([(10, ["abcq"]), (11, ["bcdq"]), (12, ["cdeq"]), (13, ["abcd"]), (14, ["uvwx"])], "id long, subs array<string>")
     plain, prefix = ({(r.query_id, r.target_id, r.shared) for r in candidates.retrieve(q, t, eta=0.5, strategy=s, rounding=rounding).collect()} for s in ("plain", "prefix"))
     assert plain == prefix and len(plain) == (5 if rounding == "down" else 1)
+
+
+def test_units_are_joined_by_colons(spark):
+    rows = [(1, "One two. Three!\n\nFour\n...\nfive six"), (2, "...\n\n"), (3, None), (4, "a. b")]
+    d = spark.createDataFrame(rows, "id long, text string")
+    flat = {r.id: r for r in fingerprint.build(d, "id").collect()}
+    got = {r.id: r for r in fingerprint.build(d, "id", units=True).collect()}
+    a, b, c, e = flat[1].subs
+    assert got[1].fp == f"{a}.{b}:{c}:{e}" and [got[i].n_units for i in (1, 2, 3, 4)] == [3, 0, 0, 1]
+    assert all(got[i].subs == flat[i].subs and got[i].fp.replace(":", ".") == flat[i].fp for i in flat)
+
+
+def test_broadcast_in_blocks_gives_the_same_pairs(spark):
+    d = spark.createDataFrame([(i, [f"ab{i % 3}"]) for i in range(20)], "id long, subs array<string>")
+    blocks = joins.broadcast_blocks(d, "20", most=100)
+    assert len(blocks) == 4 and sorted(r.id for b in blocks for r in b.collect()) == list(range(20))
+    assert bruteforce.all_pairs(d, d).count() == 400
