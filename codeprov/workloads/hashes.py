@@ -119,6 +119,14 @@ def _quality() -> str:
     return f"WITH {', '.join(head)} SELECT variant, rival, tp, fp, round({prec}, 6) AS prec, round({rec}, 6) AS rec, round(2 * ({prec}) * ({rec}) / nullif({prec} + {rec}, 0), 6) AS f1 FROM ({each}), (SELECT count(*) AS l FROM truth)"
 
 
+def lengths() -> str:
+    """Lengths of the items' fingerprints by each hash, and of the piecewise hash of their undivided texts."""
+    head = [*(prints(f"q_{v}", "benchmark", "item_id", v) for v in VARIANTS), "u AS (SELECT item_id, coalesce(text, '') AS t FROM benchmark)", _letters("w", "u", "ctph")]
+    rows = [f"SELECT '{v}' AS variant, id AS item_id, length(array_to_string(subs, '.'))::BIGINT AS len FROM q_{v}" for v in VARIANTS]
+    rows.append("SELECT 'whole text', item_id, coalesce(length(s), 0)::BIGINT FROM u LEFT JOIN w USING (t)")
+    return f"WITH {', '.join(head)} {' UNION ALL '.join(rows)}"
+
+
 def _units() -> str:
     lines = "SELECT doc_id || ':' || u AS id, doc_id, u, line AS text FROM (SELECT doc_id, unnest(range(len(ls))) AS u, unnest(ls) AS line FROM (SELECT doc_id, regexp_split_to_array(coalesce(text, ''), '\\n+') AS ls FROM documents))"
     return f"""WITH l AS ({lines}), {clones.prints('t', 'l', 'id')}, k AS (SELECT doc_id, u, array_to_string(subs, '.') AS fp FROM t JOIN l USING (id) WHERE len(subs) > 0)

@@ -18,7 +18,7 @@ from codeprov.measure import cost, describe, funnel, spearman
 from codeprov.session import cut_lineage, table
 from codeprov.study import collect, popularity, review
 from codeprov.study.source_profile import fingerprints
-from codeprov.workloads import clones
+from codeprov.workloads import clones, hashes
 
 
 def _prints(spark, sf, name, id):
@@ -162,6 +162,7 @@ QUERIES = {
     "S26_not_vetted": residue,
 }
 SQL = {
+    "C7_hash_variants": hashes.lengths(),
     "B18_exact_hash": "SELECT a.doc_id AS query_id, b.doc_id AS target_id FROM documents a JOIN documents b ON a.text = b.text AND a.doc_id < b.doc_id",
     "M17_compression": f"WITH {clones.prints('t', 'documents', 'doc_id')} SELECT round(avg(length(array_to_string(subs, '.')) / length(text)), 6) AS ratio FROM t JOIN documents ON id = doc_id WHERE length(text) > 0",
     "R10_part_dictionary": f"WITH {clones.prints('t', 'documents', 'doc_id')} SELECT count(*) AS distinct_parts, sum(n)::BIGINT AS postings, max(n) AS most FROM (SELECT s, count(*) AS n FROM (SELECT id, unnest(list_distinct(subs)) AS s FROM t) GROUP BY s)",
