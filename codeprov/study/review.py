@@ -33,8 +33,9 @@ def causes(reviewed: DataFrame) -> DataFrame:
 
 
 def not_vetted(units: DataFrame, vetted: DataFrame, eps: float = 0.9) -> DataFrame:
-    """Fingerprints (``id, subs``) of units that no vetted fingerprint is similar to."""
+    """Fingerprints (``id, subs``) of units that no vetted fingerprint is similar to; equal ones are compared once."""
     from codeprov.clone import match
 
-    found = match.find_clones(vetted, units, match.Setting(3, 0.5, eps)).select(F.col("target_id").alias("id"))
-    return units.join(found, "id", "left_anti")
+    reps, members = match.collapse(units)
+    found = match.find_clones(match.collapse(vetted)[0], reps, match.Setting(3, 0.5, eps)).select(F.col("target_id").alias("rep")).distinct()
+    return units.join(members.join(found, "rep", "left_semi").select("id"), "id", "left_anti")
