@@ -22,9 +22,24 @@ class Config:
 
 
 def map_clones(snippets: DataFrame, units: DataFrame, setting: match.Setting = match.CONSERVATIVE) -> DataFrame:
-    """``snippet_id, unit_id, score``; both sides have code."""
-    q, t = fingerprints(snippets, "snippet_id"), fingerprints(units, "unit_id")
-    return match.find_clones(q, t, setting).select(F.col("query_id").alias("snippet_id"), F.col("target_id").alias("unit_id"), "score")
+    """``snippet_id, unit_id, score``; both sides have code.
+
+    Equal texts are parsed once and equal fingerprints compared once, on both sides; the pairs are those of all rows.
+    """
+    (q, asked), (t, held) = (_classes(d, id) for d, id in ((snippets, "snippet_id"), (units, "unit_id")))
+    found = cut_lineage(match.find_clones(q, t, setting).select("query_id", "target_id", "score"))
+    out = found.join(asked.withColumnRenamed("rep", "query_id"), "query_id").join(held.withColumnRenamed("rep", "target_id"), "target_id")
+    return out.select("snippet_id", "unit_id", "score")
+
+
+def _classes(df: DataFrame, id: str) -> tuple[DataFrame, DataFrame]:
+    """Distinct fingerprints ``id, subs``, and ``rep`` with the id of each row that has it."""
+    keyed = df.select(id, F.coalesce("code", F.lit("")).alias("code")).withColumn("_t", F.sha2("code", 256))
+    texts = keyed.groupBy("_t").agg(F.min(id).alias("_i"), F.min_by("code", id).alias("code"))
+    texts = cut_lineage(texts.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), "_t"))
+    reps, members = match.collapse(fingerprints(texts, "_i"))
+    names = texts.select("_t", "_i").join(members.withColumnRenamed("id", "_i"), "_i").select("_t", "rep")
+    return reps, cut_lineage(keyed.select(id, "_t").join(names, "_t").select("rep", id))
 
 
 def check_snippets(snippets: DataFrame) -> DataFrame:
