@@ -20,3 +20,11 @@ def with_class(matches: DataFrame) -> DataFrame:
     """Each match with its snippet's class and whether its unit is later."""
     kinds = classify(matches).select("snippet_id", "is_disseminator", "is_source")
     return matches.join(kinds, "snippet_id").withColumn("later", F.coalesce(F.col("deployed_at") > F.col("posted_at"), F.lit(False)))
+
+
+def with_class_of_texts(matches: DataFrame) -> DataFrame:
+    """As ``with_class`` for matches with texts, whose units are known by ``first_unit`` and ``last_unit`` (times); later: any unit is."""
+    later = lambda at: F.coalesce(F.col(at) > F.col("posted_at"), F.lit(False))
+    kinds = matches.groupBy("snippet_id", "posted_at").agg(F.min("first_unit").alias("first_unit"), F.max("last_unit").alias("last_unit"))
+    kinds = kinds.select("snippet_id", later("last_unit").alias("is_disseminator"), later("first_unit").alias("is_source"))
+    return matches.join(kinds, "snippet_id").withColumn("later", later("last_unit"))
